@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+from turnwise.llm.pieces import op6_piece_codec
 from turnwise.llm.simhash import op10_simhash_components
 
 QUERIES = {
+    "op6_piece_codec": op6_piece_codec,
     "op10_simhash_components": op10_simhash_components,
 }
 
