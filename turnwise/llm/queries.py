@@ -3,11 +3,15 @@
 from __future__ import annotations
 
 from turnwise.llm.pieces import op6_piece_codec
+from turnwise.llm import quality
 from turnwise.llm.simhash import op10_simhash_components
 
 QUERIES = {
+    "op5_quality_ledger": quality.op5_quality_ledger,
     "op6_piece_codec": op6_piece_codec,
     "op10_simhash_components": op10_simhash_components,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op5_quality_ledger": quality.ORACLE,
+}
