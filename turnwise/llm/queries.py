@@ -5,9 +5,11 @@ from __future__ import annotations
 from turnwise.llm.pieces import op6_piece_codec
 from turnwise.llm import quality
 from turnwise.llm.toxicity import op2_toxicity
+from turnwise.llm.pii import op1_personal_data
 from turnwise.llm.simhash import op10_simhash_components
 
 QUERIES = {
+    "op1_personal_data": op1_personal_data,
     "op2_toxicity": op2_toxicity,
     "op5_quality_ledger": quality.op5_quality_ledger,
     "op6_piece_codec": op6_piece_codec,
