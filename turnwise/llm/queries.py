@@ -6,9 +6,13 @@ from turnwise.llm.pieces import op6_piece_codec
 from turnwise.llm import quality
 from turnwise.llm.toxicity import op2_toxicity
 from turnwise.llm.pii import op1_personal_data
+from turnwise.llm.warc import op3_warc_round_trip
+from turnwise.llm.html_text import op8_main_text
 from turnwise.llm.simhash import op10_simhash_components
 
 QUERIES = {
+    "op8_main_text": op8_main_text,
+    "op3_warc_round_trip": op3_warc_round_trip,
     "op1_personal_data": op1_personal_data,
     "op2_toxicity": op2_toxicity,
     "op5_quality_ledger": quality.op5_quality_ledger,
