@@ -81,15 +81,15 @@ def written(spans) -> str:
     return ",".join(f"{kind}:{start}:{end}" for start, end, kind in spans)
 
 
-def context_before(text: str, at: int) -> int | None:
-    """The context of the word at this place, a signed hash of the two words before it; none if there aren't two."""
+def context_before(text: str, at: int) -> tuple[int | None, int | None]:
+    """The context of the word at this place, a signed hash of the two words before it, and its place in the bitmap; none if there aren't two words."""
     while at and not text[at - 1].isspace():
         at -= 1
     start = max(0, at - 3 * WORD_KEPT)
     words = text[start:at].split()[-2:]
     if len(words) < 2 or (start and len(words[0]) + len(words[1]) + 2 > at - start - WORD_KEPT and len(words[0]) < WORD_KEPT and text[start : start + 1].strip()):
-        return None
-    return context_key(*words)
+        return None, None
+    return context_key(*words), int(_bits(words)[0])
 
 
 def context_key(a: str, b: str) -> int:
@@ -128,20 +128,21 @@ def candidates(text: str, spans: list[tuple[int, int, str]]) -> list[tuple[int,
     return out
 
 
-_FOUND = "array<struct<kind:string,start:bigint,end:bigint,value:bigint,context:bigint>>"
+_FOUND = "array<struct<kind:string,start:bigint,end:bigint,value:bigint,context:bigint,bit:bigint>>"
 
 
 def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, found): base spans with their kind and other identifier-shaped words without one."""
     id_type = docs.schema[id_col].dataType.simpleString()
-    kind = pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64()), ("value", pa.int64()), ("context", pa.int64())])
+    kind = pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64()), ("value", pa.int64()), ("context", pa.int64()), ("bit", pa.int64())])
 
     def one(text: str) -> list[dict]:
         spans = base_spans(text)
         out = []
         for s, e, k in [*spans, *((s, e, None) for s, e in candidates(text, spans))]:
             v = xxhash.xxh64_intdigest(text[s:e].lower())
-            out.append({"kind": k, "start": s, "end": e, "value": v - (1 << 64) if v >> 63 else v, "context": context_before(text, s)})
+            context, bit = context_before(text, s)
+            out.append({"kind": k, "start": s, "end": e, "value": v - (1 << 64) if v >> 63 else v, "context": context, "bit": bit})
         return out
 
     def make():
@@ -176,31 +177,16 @@ def context_totals(docs: DataFrame, contexts: DataFrame, text_col: str = "text")
     return docs.select(text_of(text_col).alias("text")).mapInArrow(run, "context bigint, total bigint").groupBy("context").agg(F.sum("total").alias("total"))
 
 
-def _frequent_contexts(docs: DataFrame, found: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(context, bit) of contexts with MIN_VALUES identifiers. The bit needs the words, so it is made from one text that has the context."""
-    x = found.select("id", F.explode("found").alias("f")).select("id", "f.*").where("context IS NOT NULL")
-    often = x.groupBy("context").agg(F.approx_count_distinct("value", 0.01).alias("n"), F.min(F.struct("id", "start")).alias("at"), F.count("*").alias("rows")).where((F.col("rows") >= MIN_VALUES) & (F.col("n") >= MIN_VALUES - 1))
-    at = often.select("context", F.col("at.id").alias("id"), F.col("at.start").alias("start"))
-
-    def bit(batches):
-        for batch in batches:
-            got = []
-            for text, start, context in zip(batch.column("text").to_pylist(), batch.column("start").to_pylist(), batch.column("context").to_pylist(), strict=True):
-                a = start
-                while a and not text[a - 1].isspace():
-                    a -= 1
-                two = text[max(0, a - 3 * WORD_KEPT) : a].split()[-2:]
-                got.append((context, int(_bits(two)[0])) if len(two) == 2 and context_key(*two) == context else None)
-            keep = [x for x in got if x]
-            yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in keep], pa.int64()), pa.array([x[1] for x in keep], pa.int64())], ["context", "bit"])
-
-    texts = docs.select(F.col(id_col).alias("id"), text_of(text_col).alias("text"))
-    return texts.join(at, "id").select("context", "start", "text").mapInArrow(bit, "context bigint, bit bigint").groupBy("context").agg(F.min("bit").alias("bit"))
+def _frequent_contexts(found: DataFrame) -> DataFrame:
+    """(context, bit) of contexts with MIN_VALUES identifiers."""
+    x = found.select(F.explode("found").alias("f")).select("f.*").where("context IS NOT NULL")
+    often = x.groupBy("context").agg(F.approx_count_distinct("value", 0.01).alias("n"), F.min("bit").alias("bit"), F.count("*").alias("rows"))
+    return often.where((F.col("rows") >= MIN_VALUES) & (F.col("n") >= MIN_VALUES - 1)).select("context", "bit")
 
 
-def discover(docs: DataFrame, found: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def discover(docs: DataFrame, found: DataFrame, text_col: str = "text") -> DataFrame:
     """(id, start, end, kind) of identifiers that confident contexts add. found: what scan() gave, stored."""
-    contexts = stored(_frequent_contexts(docs, found, id_col, text_col), "contexts")
+    contexts = stored(_frequent_contexts(found), "contexts")
     totals = stored(context_totals(docs, contexts, text_col), "totals")
     x = found.select("id", F.explode("found").alias("f")).select("id", "f.*")
     x = stored(x.join(totals, "context"), "instances")
@@ -222,7 +208,7 @@ def discover(docs: DataFrame, found: DataFrame, id_col: str = "doc_id", text_col
 def extract(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, base, added) of every row: arrays of (start, end, kind), the second what the contexts add."""
     found = stored(scan(docs, id_col, text_col), "found")
-    more = discover(docs, found, id_col, text_col).groupBy("id").agg(F.sort_array(F.collect_list(F.struct("start", "end", "kind"))).alias("added"))
+    more = discover(docs, found, text_col).groupBy("id").agg(F.sort_array(F.collect_list(F.struct("start", "end", "kind"))).alias("added"))
     base = F.transform(F.filter("found", lambda f: f["kind"].isNotNull()), lambda f: F.struct(f["start"].alias("start"), f["end"].alias("end"), f["kind"].alias("kind")))
     return found.select("id", base.alias("base")).join(more, "id", "left")
 
