@@ -9,9 +9,11 @@ from turnwise.llm.pii import op1_personal_data
 from turnwise.llm.warc import op3_warc_round_trip
 from turnwise.llm.html_text import op8_main_text
 from turnwise.llm.lines import op7_fuzzy_lines
+from turnwise.llm.packing import op4_packed_ids
 from turnwise.llm.simhash import op10_simhash_components
 
 QUERIES = {
+    "op4_packed_ids": op4_packed_ids,
     "op7_fuzzy_lines": op7_fuzzy_lines,
     "op8_main_text": op8_main_text,
     "op3_warc_round_trip": op3_warc_round_trip,
