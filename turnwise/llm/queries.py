@@ -10,9 +10,11 @@ from turnwise.llm.warc import op3_warc_round_trip
 from turnwise.llm.html_text import op8_main_text
 from turnwise.llm.lines import op7_fuzzy_lines
 from turnwise.llm.packing import op4_packed_ids
+from turnwise.llm.leaks import op9_benchmark_leaks
 from turnwise.llm.simhash import op10_simhash_components
 
 QUERIES = {
+    "op9_benchmark_leaks": op9_benchmark_leaks,
     "op4_packed_ids": op4_packed_ids,
     "op7_fuzzy_lines": op7_fuzzy_lines,
     "op8_main_text": op8_main_text,
