@@ -30,7 +30,7 @@ def test_ids_and_decoded_text_equal_the_library(codec, library):
         want = library.encode(x, add_eos=True)
         assert codec.encode(x, add_end=True) == want, repr(x)
         assert codec.decode(want) == library.decode(want), repr(x)
-        assert codec.summaries([x])[0] == (len(want), hashlib.sha256(" ".join(map(str, want)).encode()).hexdigest(), hashlib.sha256(library.decode(want).encode()).hexdigest())
+        assert codec.summaries([x], True)[0][:3] == (len(want), hashlib.sha256(" ".join(map(str, want)).encode()).hexdigest(), hashlib.sha256(library.decode(want).encode()).hexdigest())
 
 
 def test_bad_byte_runs_decode_as_the_library_does(codec, library):

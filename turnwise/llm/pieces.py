@@ -308,8 +308,8 @@ class Codec:
                 at += n
         return out
 
-    def summaries(self, texts: list[str]) -> list[tuple[int, str, str]]:
-        """Of each text: ids with the end id, SHA-256 of the ids in decimal, SHA-256 of the text decoded from them."""
+    def summaries(self, texts: list[str], with_ids: bool = False) -> list[tuple]:
+        """Of each text: ids with the end id, SHA-256 of the ids in decimal, SHA-256 of the text decoded from them; the ids themselves if asked for."""
         cut = [self.stretches(self._normalised(x)) for x in texts]
         long = self.learn(set().union(*cut))
         kept, out = self.kept, []
@@ -319,7 +319,7 @@ class Codec:
             raw = b"".join([x[2] for x in got])
             if self.m.dummy_prefix and stretches and raw[:1] == b" " and stretches[0][0] == SPACE:
                 raw = raw[1:]
-            out.append((sum([x[1] for x in got]) + 1, hashlib.sha256(ids.encode()).hexdigest(), hashlib.sha256(raw).hexdigest()))
+            out.append((sum([x[1] for x in got]) + 1, hashlib.sha256(ids.encode()).hexdigest(), hashlib.sha256(raw).hexdigest(), np.array(ids.split(" "), np.int32) if with_ids else None))
         return out
 
 
@@ -373,21 +373,23 @@ def encode_documents(docs: DataFrame, model_path: str | None = None, id_col: str
     return map_arrow(docs.select(F.col(id_col).alias("id"), text_of(text_col).alias("text")), make, f"id {kind}, ids array<int>, starts array<bigint>, ends array<bigint>", rows=64)
 
 
-def encoding_digests(docs: DataFrame, model_path: str | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, n_tokens, ids_sha256, decoded_sha256) of each text, by the same codec; edge cases as in encode_documents."""
+def encoding_digests(docs: DataFrame, model_path: str | None = None, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False) -> DataFrame:
+    """(id, n_tokens, ids_sha256, decoded_sha256) of each text, and its ids if asked for; edge cases as in encode_documents."""
     path = model_path or default_model()
     kind = docs.schema[id_col].dataType.simpleString()
+    names, kinds = ["n_tokens", "ids_sha256", "decoded_sha256", "ids"][: 3 + with_ids], (pa.int64(), pa.string(), pa.string(), pa.list_(pa.int32()))
 
     def make():
         codec = Codec(Model.load(path))
 
         def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-            got = codec.summaries(batch.column(1).to_pylist())
-            return pa.RecordBatch.from_arrays([batch.column(0), *(pa.array([x[k] for x in got], t) for k, t in enumerate((pa.int64(), pa.string(), pa.string())))], ["id", "n_tokens", "ids_sha256", "decoded_sha256"])
+            got = codec.summaries(batch.column(1).to_pylist(), with_ids)
+            return pa.RecordBatch.from_arrays([batch.column(0), *(pa.array([x[k] for x in got], kinds[k]) for k in range(len(names)))], ["id", *names])
 
         return run
 
-    return map_arrow(docs.select(F.col(id_col).alias("id"), text_of(text_col).alias("text")), make, f"id {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string")
+    schema = f"id {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids
+    return map_arrow(docs.select(F.col(id_col).alias("id"), text_of(text_col).alias("text")), make, schema, rows=256)
 
 
 def op6_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:

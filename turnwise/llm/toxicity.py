@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from turnwise.llm.common import dropped, map_arrow, stored, table, text_of
+from turnwise.llm.common import dropped, map_arrow, slices, stored, table, text_of
 
 SIZES = (4, 5, 6)
 BUCKETS = 1 << 18
@@ -159,6 +159,18 @@ def score(docs: DataFrame, model: Classifier, id_col: str = "doc_id", text_col:
     return map_arrow(docs.select(F.col(id_col).alias("id"), text_of(text_col).alias("text")), make, f"id {kind}, score double")
 
 
+def keep_clean(docs: DataFrame, model: Classifier, text_col: str = "text", limit: float = 0.5) -> DataFrame:
+    """The rows of docs whose score is below limit, with all their columns; nothing is shuffled."""
+    place = docs.columns.index(text_col)
+
+    def run(batches):
+        seen = np.zeros(BUCKETS, np.int32)
+        for batch in slices(batches):
+            yield batch.filter(pa.array([model.score(x or "", seen) < limit for x in batch.column(place).to_pylist()], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def held_out(id_col: str = "doc_id"):
     return F.crc32(F.col(id_col).cast("string").cast("binary")) % 5 == 0
 
