@@ -5,8 +5,9 @@ again. Segments are dealt to shards by a hash of (id, place), so that neither a
 large shard; the number of shards follows from the bytes of all texts. A shard packs its segments by itself, longest
 first, each into the row with the least room that still takes it. A segment tree over room sizes finds that row in
 logarithmic time. Of each shard three files are written: ids.bin (a matrix of little-endian unsigned 16-bit ids, rows
-filled up with the pad id), cu_seqlens.bin (32-bit ends of the segments of each row, from 0) and position_ids.bin
-(16-bit places that start again at 0 with each segment and in the padding).
+filled up with the pad id), cu_seqlens.bin (32-bit ends of the segments of each row, from 0) and resets.bin (a bit for each
+id, lowest first: set where positions start again at 0, with each segment and in the padding). position_ids() makes
+the positions of a row from its bits.
 
 Files carry a random name of their task attempt and only those named by the manifest count. Edge cases: null and empty
 texts are the end id alone; ties in length go by (id, place); repeated rows are packed each; an empty table gives no
@@ -131,7 +132,7 @@ def pack(docs: DataFrame, folder: str, path: str | None = None, id_col: str = "d
         ids = [np.frombuffer(x, "<u2") for x in group.column("ids").to_pylist()]
         doc, start = group.column("id").to_pylist(), group.column("start").to_pylist()
         rows = best_fit_decreasing(np.array([len(x) for x in ids]), size)
-        matrix, places = np.full((len(rows), size), END, "<u2"), np.zeros((len(rows), size), "<u2")
+        matrix, resets = np.full((len(rows), size), END, "<u2"), np.zeros((len(rows), size), bool)
         out, ends = [], []
         name = f"shard-{shard:06d}-{uuid.uuid4().hex}"
         for r, members in enumerate(rows):
@@ -139,15 +140,15 @@ def pack(docs: DataFrame, folder: str, path: str | None = None, id_col: str = "d
             for m in members:
                 n = len(ids[m])
                 matrix[r, at : at + n] = ids[m]
-                places[r, at : at + n] = np.arange(n)
+                resets[r, at] = True
                 at += n
                 cut.append(at)
-            places[r, at:] = np.arange(size - at)
+            resets[r, at : at + 1] = True
             ends.append(np.array(cut, "<i4"))
             out.append((shard, r, at, [doc[m] for m in members], [start[m] for m in members], cut, hashlib.sha256(matrix[r, :at].tobytes()).hexdigest(), name))
         store, base = files_at(folder)
         store.create_dir(base, recursive=True)
-        for what, data in (("ids", matrix), ("cu_seqlens", np.concatenate(ends)), ("position_ids", places)):
+        for what, data in (("ids", matrix), ("cu_seqlens", np.concatenate(ends)), ("resets", np.packbits(resets, axis=1, bitorder="little"))):
             with store.open_output_stream(f"{base}/{name}.{what}.bin", compression=None) as f:
                 f.write(data.tobytes())
         kinds = (pa.int32(), pa.int32(), pa.int32(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.string(), pa.string())
@@ -156,12 +157,19 @@ def pack(docs: DataFrame, folder: str, path: str | None = None, id_col: str = "d
     return parts.groupBy("shard").applyInArrow(write, _ROWS)
 
 
+def position_ids(resets: np.ndarray) -> np.ndarray:
+    """Positions of a row that start again at each set bit."""
+    at = np.arange(len(resets))
+    return at - np.maximum.accumulate(np.where(resets, at, 0))
+
+
 def read_shard(folder: str, name: str, size: int = ROW) -> tuple[np.ndarray, np.ndarray, list[np.ndarray]]:
-    """Ids and places by row, and the cumulative lengths of each row, from a shard's files."""
+    """Ids and reset bits by row, and the cumulative lengths of each row, from a shard's files."""
     store, base = files_at(folder)
     load = lambda what, kind: np.frombuffer(store.open_input_file(f"{base}/{name}.{what}.bin").read(), kind)
-    ends = load("cu_seqlens", "<i4")
-    return load("ids", "<u2").reshape(-1, size), load("position_ids", "<u2").reshape(-1, size), np.split(ends, np.flatnonzero(ends == 0)[1:])
+    ends, ids = load("cu_seqlens", "<i4"), load("ids", "<u2").reshape(-1, size)
+    bits = np.unpackbits(load("resets", np.uint8).reshape(len(ids), -1), axis=1, bitorder="little")[:, :size].astype(bool)
+    return ids, bits, np.split(ends, np.flatnonzero(ends == 0)[1:])
 
 
 def op4_packed_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
