@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from turnwise.model import Csr, Graph, graph_of
 from turnwise.operators.prefix import prefix_offsets
 from turnwise.operators.shared import shared_place
+from turnwise.storage import stored
 
 
 def sorted_reference(g: Graph) -> Csr:
@@ -35,9 +36,9 @@ def same_csr(a: Csr, b: Csr) -> bool:
 
 def involution_difference(g: Graph, method) -> DataFrame:
     """(differences): rows in which the graph that comes back from two transpositions differs."""
-    first = method(g)
-    again = method(graph_of(first))
-    back = graph_of(again).edges.select(*g.edges.columns)
+    once = graph_of(method(g))
+    once = once.with_edges(stored(once.edges, "transposed"))  # else the second transposition plans the first one many times over
+    back = stored(graph_of(method(once)).edges.select(*g.edges.columns), "back")
     x, y = g.edges.exceptAll(back), back.exceptAll(g.edges)
     return x.unionByName(y).agg(F.count("*").alias("differences"))
 

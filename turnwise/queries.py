@@ -210,7 +210,7 @@ for _g in ("cubic_skew", "order_part", "word_successor"):
         x = build(g)(s, d)
         return measures.footprint(s, x.n_dst, x.edges.count(), [4, 16, 64, 128])
 
-    add(f"footprint_{_g}", _foot, f"{ctes(_g)}, s AS (SELECT (SELECT n_dst FROM n) AS v, (SELECT count(*) FROM g) AS e), p AS (SELECT unnest([4, 16, 64, 128]) AS p), gb AS (SELECT *, (v + 1) * 8 + e * 4 AS graph_bytes FROM s, p) SELECT m AS method, CAST(p AS BIGINT) AS workers, CAST(CASE m WHEN 'shared' THEN v * 4 WHEN 'private' THEN p * v * 12 WHEN 'merge' THEN p * v * 4 + e * 4 ELSE v * 4 + 256 * (16 + 5 * p) END AS BIGINT) AS extra_bytes, CAST(graph_bytes AS BIGINT) AS graph_bytes FROM gb, (SELECT unnest(['shared', 'private', 'merge', 'hybrid']) AS m)")
+    add(f"footprint_{_g}", _foot, f"{ctes(_g)}, s AS (SELECT (SELECT n_dst FROM n) AS v, (SELECT count(*) FROM g) AS e), pw AS (SELECT unnest([4, 16, 64, 128]) AS p), gb AS (SELECT *, (v + 1) * 8 + e * 4 AS graph_bytes FROM s, pw) SELECT m AS method, CAST(p AS BIGINT) AS workers, CAST(CASE m WHEN 'shared' THEN v * 4 WHEN 'private' THEN p * v * 12 WHEN 'merge' THEN p * v * 4 + e * 4 ELSE v * 4 + 256 * (16 + 5 * p) END AS BIGINT) AS extra_bytes, CAST(graph_bytes AS BIGINT) AS graph_bytes FROM gb, (SELECT unnest(['shared', 'private', 'merge', 'hybrid']) AS m)")
 
     def _access(s, d, g=_g):
         x = build(g)(s, d)

@@ -17,6 +17,8 @@ HREF = 'href="([^"]*)"'
 
 def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFrame:
     df = spark.read.parquet(f"{sf_dir}/{name}.parquet")
+    if name == "events":
+        df = df.withColumn("ts", F.col("ts").cast("timestamp"))
     return df.select(*columns) if columns else df
 
 
@@ -192,12 +194,12 @@ GRAPHS = {
     "document_benchmark": document_benchmark,
 }
 
-_TOKENS = "tok AS (SELECT doc_id, unnest(range(len(ws))) AS at, unnest(ws) AS word FROM (SELECT doc_id, list_transform(regexp_extract_all(text, '[A-Za-z]+'), lambda x: lower(x)) AS ws FROM documents))"
+_TOKENS = "tok AS (SELECT doc_id, unnest(range(len(ws))) AS k, unnest(ws) AS word FROM (SELECT doc_id, list_transform(regexp_extract_all(text, '[A-Za-z]+'), lambda x: lower(x)) AS ws FROM documents))"
 _WORDS = "ids AS (SELECT word, row_number() OVER (ORDER BY word) - 1 AS id FROM (SELECT DISTINCT word FROM tok))"
 
 #: Common table expressions that end in e(src, dst), and the numbers of sources and targets.
 SQL = {
-    "word_successor": (f"{_TOKENS}, {_WORDS}, p AS (SELECT word, lead(word) OVER (PARTITION BY doc_id ORDER BY at) AS nxt FROM tok), e AS (SELECT a.id AS src, b.id AS dst FROM p JOIN ids a ON p.word = a.word JOIN ids b ON p.nxt = b.word)", "(SELECT count(*) FROM ids)", "(SELECT count(*) FROM ids)"),
+    "word_successor": (f"{_TOKENS}, {_WORDS}, p AS (SELECT word, lead(word) OVER (PARTITION BY doc_id ORDER BY k) AS nxt FROM tok), e AS (SELECT a.id AS src, b.id AS dst FROM p JOIN ids a ON p.word = a.word JOIN ids b ON p.nxt = b.word)", "(SELECT count(*) FROM ids)", "(SELECT count(*) FROM ids)"),
     "document_word": (f"{_TOKENS}, {_WORDS}, e AS (SELECT doc_id AS src, id AS dst FROM tok JOIN ids USING (word))", "(SELECT max(doc_id) + 1 FROM documents)", "(SELECT count(*) FROM ids)"),
     "page_link": (f"l AS (SELECT page_id AS src, unnest(regexp_extract_all(html, '{HREF}', 1)) AS target FROM pages), ids AS (SELECT target, row_number() OVER (ORDER BY target) - 1 AS id FROM (SELECT DISTINCT target FROM l)), e AS (SELECT src, id AS dst FROM l JOIN ids USING (target))", "(SELECT max(page_id) + 1 FROM pages)", "(SELECT count(*) FROM ids)"),
     "order_part": ("e AS (SELECT l_orderkey AS src, l_partkey AS dst FROM lineitem)", "(SELECT max(o_orderkey) + 1 FROM orders)", "(SELECT max(p_partkey) + 1 FROM part)"),
