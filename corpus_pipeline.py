@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from turnwise.llm import leaks, lines, pieces, simhash, toxicity
+from turnwise.llm import leaks, lines, pieces, shingles, toxicity
 from turnwise.llm.common import stored, table
 
 
@@ -26,8 +26,8 @@ def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document with the smallest id of each group of near copies."""
-    copies = simhash.near_duplicates(docs).where("id <> component_id").select(F.col("id").alias("doc_id"))
+    """The document with the smallest id of each group of near copies: five-word shingles of similarity 0.8 or more."""
+    copies = shingles.near_copies(docs).where("id <> component_id").select(F.col("id").alias("doc_id"))
     return docs.join(stored(copies, "copies"), "doc_id", "left_anti").select(*docs.columns)
 
 
