@@ -49,3 +49,16 @@ def test_given_pages_give_exactly_the_blocks_of_their_article(spark):
         body = re.sub(r"(?s)^.*?<article>|</article>.*$|<footer>.*$", "", r.html)
         blocks = [re.sub(r"\s+", " ", html.unescape(re.sub(r"<[^>]*>", lambda m: " " if m.group().startswith("<br") else "", x))).strip() for x in re.split(r"</?(?:p|h1|article|li|ul|div)\b[^>]*>", body)]
         assert h.main_text(r.html) == "\n".join(x for x in blocks if x), r.page_id
+
+
+LONG = "A sentence of the body that goes on with many plain words and no mark-up at all. " * 30
+
+
+def test_blocks_around_an_inner_wrapper_stay():
+    body = f"<h1>Title</h1><p>Lead of the text.</p><div class='body'><div><p>{LONG}</p><p>{LONG}</p></div></div><section><p>Closing words.</p></section>"
+    nav = "<div><ul><li><a href='/a'>one page of many</a></li><li><a href='/b'>another page of many</a></li></ul></div>"
+    want = ["Title", "Lead of the text.", LONG.strip(), LONG.strip(), "Closing words."]
+    for page in (f"<article>{body}</article>", f"<main><div>{body}</div></main>", f"<div id='post'>{body}</div>"):
+        assert h.main_text(f"<html><body>{nav}{page}{nav}<footer>foot</footer></body></html>").split("\n") == want, page
+    split = f"<main><h1>Title</h1><article><p>Lead of the text.</p><section><p>{LONG}</p><p>{LONG}</p></section><section><p>Closing words.</p></section></article></main>"
+    assert h.main_text(f"<body>{nav}{split}</body>").split("\n") == want

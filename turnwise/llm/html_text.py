@@ -4,8 +4,9 @@ The standard library's parser is run as a stream of events. Each block-level ele
 characters, its tags, the characters inside links and the open elements around it. Elements that are page furniture by
 their tag or by a word of their class, id or role never count as text. Over the rest, text-to-tag ratios are smoothed
 with a Gaussian window, and lines whose smoothed ratio lies above the threshold that splits the page's lines best into
-two clusters are content. The region of content is the smallest container that holds nearly all characters of those
-lines; every line of text in it is kept, short ones too, so that clustering decides where the article is and drops
+two clusters are content. The region of content starts as the smallest container that holds nearly all characters of
+those lines and grows to the article or main element around it, or without one as long as what it takes in isn't mostly
+links; every line of text in it is kept, short ones too, so that clustering decides where the article is and drops
 nothing inside it.
 
 Edge cases: null and empty html give an empty text; unclosed and stray tags don't matter; a page without any tag is one
@@ -157,6 +158,38 @@ def threshold(x: np.ndarray) -> float:
     return float(s[1 + int(np.argmax(between))])
 
 
+def _widened(best: int, lines: list[tuple[str, int, int, int]], parent: list[int], kinds: list[str]) -> int:
+    """The article or main element around an element, or the largest container around it that adds more text than links."""
+    above = [best]
+    while above[-1] >= 0:
+        above.append(parent[above[-1]])
+    above.pop()
+    whole = next((e for kind in ("article", "main") for e in reversed(above) if kinds[e] == kind), None)
+    now, last = (best, None) if whole is None else (whole, "main")
+    if last and not any(kinds[e] == last for e in above[above.index(now) + 1 :]):
+        return now
+    # the text and the links of the lines whose way up enters the chain at each place
+    place = {e: k for k, e in enumerate(above)}
+    enters: list[int] = []
+    for e, up in enumerate(parent):
+        enters.append(place.get(e, enters[up] if up >= 0 else len(above)))
+    text, linked = [0] * (len(above) + 1), [0] * (len(above) + 1)
+    for x, _, links, e in lines:
+        k = enters[e] if e >= 0 else len(above)
+        text[k] += len(x)
+        linked[k] += links
+    new_text = new_links = 0
+    for k in range(place[now] + 1, len(above)):
+        new_text, new_links = new_text + text[k], new_links + linked[k]
+        if 2 * new_links > new_text:
+            break
+        if kinds[above[k]] in CONTAINERS:
+            now, new_text, new_links = above[k], 0, 0
+        if kinds[above[k]] == last:
+            break
+    return now
+
+
 def main_text(html: str, share: float = 0.9) -> str:
     """The blocks of the page's main region, one a line."""
     parser = Lines()
@@ -179,6 +212,8 @@ def main_text(html: str, share: float = 0.9) -> str:
             weight[parent[e]] = weight.get(parent[e], 0) + weight[e]
     need = share * weight.get(-1, 0)
     best = max(e for e in [-1, *weight] if weight.get(e, 0) >= need and (e < 0 or kinds[e] in CONTAINERS))
+    if best >= 0:
+        best = _widened(best, lines, parent, kinds)
     inside = {best}
     for e in range(max(best, 0), len(parent)):
         if parent[e] in inside:
