@@ -61,3 +61,25 @@ def test_normaliser_reads_the_compiled_map_as_the_library_does(rule):
             got, source = ours(x)
             assert got.decode() == lib.normalize(x), (rule, trim, x)
             assert len(source) == len(got) + 1 and source == sorted(source)
+
+
+def test_alignment_by_lengths_equals_the_normaliser(codec):
+    for x in texts():
+        norm, source = codec.normalise(x)
+        got, at = codec._alignment(x)
+        assert got.encode() == norm and at.tolist() == source, repr(x)
+
+
+def test_digests_come_from_the_operator_that_gives_spans(spark, monkeypatch, codec, library):
+    rows = list(enumerate([None, *texts()]))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    used, real = [], pieces.encode_documents
+    monkeypatch.setattr(pieces, "encode_documents", lambda *a, **b: used.append(1) or real(*a, **b))
+    got = {r.id: r for r in pieces.encoding_digests(docs, with_ids=True).collect()}
+    spans = {r.id: r for r in real(docs).collect()}
+    assert used and len(got) == len(rows)
+    for i, t in rows:
+        want, size = library.encode(t or "", add_eos=True), len((t or "").encode())
+        assert got[i].ids == spans[i].ids == want and got[i].n_tokens == len(want)
+        assert got[i].ids_sha256 == hashlib.sha256(" ".join(map(str, want)).encode()).hexdigest() and got[i].decoded_sha256 == hashlib.sha256(library.decode(want).encode()).hexdigest()
+        assert list(zip(spans[i].starts, spans[i].ends)) == [*((a, b) for _, a, b in codec.encode_with_spans(t or "")), (size, size)]

@@ -93,6 +93,9 @@ class Model:
         return cls([(p.piece, p.score, p.type) for p in m.pieces], n.precompiled_charsmap, n.add_dummy_prefix, n.remove_extra_whitespaces, n.escape_whitespaces, m.trainer_spec.byte_fallback, blob)
 
 
+_SURROGATE = re.compile("[\ud800-\udfff]")
+
+
 class Normaliser:
     def __init__(self, model: Model):
         self.m, self.map = model, CharMap(model.charsmap)
@@ -175,6 +178,7 @@ class Codec:
         self.coarse = re.compile(f"{SPACE}*[^{SPACE}{alone}]+|{SPACE}+{rest}")
         self.fine = re.compile(f"{SPACE}*[{first}]*[^{SPACE}{alone}{first}]+|{SPACE}*[{first}]+|{SPACE}+{rest}") if marks else self.coarse
         self.kept: dict[str, tuple] = {}
+        self.known: dict[str, tuple] = {}
         self._library = None
 
     def stretches(self, norm: str) -> list[str]:
@@ -299,14 +303,37 @@ class Codec:
 
     def encode_with_spans(self, text: str) -> list[tuple[int, int, int]]:
         """(id, start, end): each piece and the source bytes it covers, end exclusive; ends never fall behind starts."""
+        return list(zip(*(x.tolist() for x in self.aligned(text)), strict=True))
+
+    def aligned(self, text: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Ids, starts and ends of encode_with_spans; the ids of short stretches are remembered."""
+        norm, source = self._alignment(text)
+        ids, sizes, known = [], [], self.known
+        for x in self.stretches(norm):
+            got = known.get(x)
+            if got is None:
+                got = self.stretch_ids(x)
+                if len(x) <= LONGEST_KEPT:
+                    if len(known) > MOST_KEPT:
+                        known.clear()
+                    known[x] = got
+            ids += got[0]
+            sizes += got[1]
+        at = np.zeros(len(ids) + 1, np.int64)
+        np.cumsum(np.array(sizes, np.int64), out=at[1:])
+        edges = source[at]
+        return np.array(ids, np.int32), edges[:-1], edges[1:]
+
+    def _alignment(self, text: str) -> tuple[str, np.ndarray]:
+        """The normalised text, and the source byte of each of its bytes and of its end; without a map by the lengths alone."""
+        if self.normalise.plain and self.m.escape_spaces and not _SURROGATE.search(text):
+            raw = np.frombuffer(text.encode(), np.uint8)
+            at = np.maximum.accumulate(np.where(raw & 0xC0 != 0x80, np.arange(len(raw)), 0))
+            source = np.repeat(at, np.where(raw == 0x20, len(SPACE.encode()), 1))
+            prefix = np.zeros(len(SPACE.encode()) * bool(text and self.m.dummy_prefix), np.int64)
+            return self._normalised(text), np.concatenate([prefix, source, [len(raw)]])
         norm, source = self.normalise(text)
-        out, at = [], 0
-        for x in self.stretches(norm.decode("utf-8", "surrogatepass")):
-            ids, sizes = self.stretch_ids(x)
-            for i, n in zip(ids, sizes, strict=True):
-                out.append((i, source[at], source[at + n]))
-                at += n
-        return out
+        return norm.decode("utf-8", "surrogatepass"), np.array(source, np.int64)
 
     def summaries(self, texts: list[str], with_ids: bool = False) -> list[tuple]:
         """Of each text: ids with the end id, SHA-256 of the ids in decimal, SHA-256 of the text decoded from them; the ids themselves if asked for."""
@@ -359,13 +386,14 @@ def encode_documents(docs: DataFrame, model_path: str | None = None, id_col: str
         def run(batch: pa.RecordBatch) -> pa.RecordBatch:
             ids, starts, ends = [], [], []
             for text in batch.column(1).to_pylist():
-                got = codec.encode_with_spans(text) if spans else [(i, 0, 0) for i in codec.encode(text)]
+                if spans:
+                    got = codec.aligned(text)
+                else:
+                    own = np.array(codec.encode(text), np.int32)
+                    got = own, np.zeros(len(own), np.int64), np.zeros(len(own), np.int64)
                 size = len(text.encode())
-                got.append((codec.end, size, size))
-                x = np.array(got, np.int64)
-                ids.append(x[:, 0].astype(np.int32))
-                starts.append(x[:, 1])
-                ends.append(x[:, 2])
+                for column, values, last in zip((ids, starts, ends), got, (codec.end, size, size), strict=True):
+                    column.append(np.append(values, values.dtype.type(last)))
             return pa.RecordBatch.from_arrays([batch.column(0), pa.array(ids, pa.list_(pa.int32())), pa.array(starts, pa.list_(pa.int64())), pa.array(ends, pa.list_(pa.int64()))], ["id", "ids", "starts", "ends"])
 
         return run
@@ -374,7 +402,7 @@ def encode_documents(docs: DataFrame, model_path: str | None = None, id_col: str
 
 
 def encoding_digests(docs: DataFrame, model_path: str | None = None, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False) -> DataFrame:
-    """(id, n_tokens, ids_sha256, decoded_sha256) of each text, and its ids if asked for; edge cases as in encode_documents."""
+    """(id, n_tokens, ids_sha256, decoded_sha256) of each text, and its ids if asked for, all from what encode_documents gives."""
     path = model_path or default_model()
     kind = docs.schema[id_col].dataType.simpleString()
     names, kinds = ["n_tokens", "ids_sha256", "decoded_sha256", "ids"][: 3 + with_ids], (pa.int64(), pa.string(), pa.string(), pa.list_(pa.int32()))
@@ -383,13 +411,18 @@ def encoding_digests(docs: DataFrame, model_path: str | None = None, id_col: str
         codec = Codec(Model.load(path))
 
         def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-            got = codec.summaries(batch.column(1).to_pylist(), with_ids)
+            got = []
+            for ids in batch.column(1):
+                ids = ids.values.to_numpy()
+                own = ids.tolist()
+                raw = codec.decode(own[:-1]).encode("utf-8", "surrogatepass")
+                got.append((len(own), hashlib.sha256(" ".join(map(str, own)).encode()).hexdigest(), hashlib.sha256(raw).hexdigest(), ids))
             return pa.RecordBatch.from_arrays([batch.column(0), *(pa.array([x[k] for x in got], kinds[k]) for k in range(len(names)))], ["id", *names])
 
         return run
 
     schema = f"id {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids
-    return map_arrow(docs.select(F.col(id_col).alias("id"), text_of(text_col).alias("text")), make, schema, rows=256)
+    return map_arrow(encode_documents(docs, model_path, id_col, text_col).select("id", "ids"), make, schema, rows=256)
 
 
 def op6_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
