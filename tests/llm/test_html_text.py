@@ -62,3 +62,24 @@ def test_blocks_around_an_inner_wrapper_stay():
         assert h.main_text(f"<html><body>{nav}{page}{nav}<footer>foot</footer></body></html>").split("\n") == want, page
     split = f"<main><h1>Title</h1><article><p>Lead of the text.</p><section><p>{LONG}</p><p>{LONG}</p></section><section><p>Closing words.</p></section></article></main>"
     assert h.main_text(f"<body>{nav}{split}</body>").split("\n") == want
+
+
+def test_names_of_several_words_are_furniture_only_as_a_whole():
+    assert all(map(h.is_furniture, ("ad", "ad-300x250", "site-header", "comment-list", "cookie-notice", "sidebar_left", "share-buttons", "main-nav")))
+    assert not any(map(h.is_furniture, ("related-work", "share-price", "has-sidebar-story", "reader", "article-body", "content")))
+    page = f"<body><article><h1>T</h1><p>{LONG}</p><div class='related-work'><p>Work that is related.</p></div><p class='share-price'>The price of a share.</p></article></body>"
+    assert h.main_text(page).split("\n")[2:] == ["Work that is related.", "The price of a share."]
+
+
+def test_a_heading_before_the_region_stays():
+    page = f"<body><nav><a href='/'>home</a></nav><h1>The <i>title</i></h1><article><p>{LONG}</p><p>{LONG}</p></article><footer>foot</footer></body>"
+    assert h.main_text(page).split("\n") == ["The title", LONG.strip(), LONG.strip()]
+
+
+def test_unclosed_elements_cost_linear_time():
+    import time
+
+    began = time.perf_counter()
+    assert "end" in h.main_text("<div><p>start" + "<span>" * 16_000 + "".join(f"<p>word {i}" for i in range(2000)) + "<p>end")
+    assert "end" in h.main_text("<p>" + "<td><span>" * 8_000 + "</b></i>" * 8_000 + "end")
+    assert time.perf_counter() - began < 3

@@ -46,5 +46,25 @@ def test_files_give_every_text_back(spark, monkeypatch):
         assert [y for _, part in sorted(got[i]) for y in part] == [*encode(t or ""), packing.END]
 
 
+def test_repeated_and_missing_ids_give_every_text_back(spark):
+    texts = [("a", "one two " * 200), ("a", "three four " * 150), ("a", "one two " * 200), (None, "five"), ("b", None)]
+    docs = spark.createDataFrame([(*t, "k", "s") for t in texts], "doc_id string, text string, text_key string, start string")
+    folder = new_path(spark, "packed")
+    encode = packing.tokenizer(packing.default_vocabulary())
+    parts = {}
+    for x in packing.pack(docs, folder, size=128).collect():
+        ids, _, _ = packing.read_shard(folder, x.file, 128)
+        for k, key in enumerate(zip(x.doc_ids, x.text_keys, x.starts)):
+            parts.setdefault(key, []).append(tuple(ids[x.row, x.cu_seqlens[k] : x.cu_seqlens[k + 1]].tolist()))
+    whole = {}
+    for (d, t, _), same in sorted(parts.items(), key=lambda x: (str(x[0][0]), *x[0][1:])):
+        assert len(set(same)) == 1
+        whole.setdefault((d, t), [[] for _ in same])
+        for copy, piece in zip(whole[d, t], same, strict=True):
+            copy += piece
+    got = sorted((str(d), tuple(c)) for (d, _), copies in whole.items() for c in copies)
+    assert got == sorted((str(d), (*encode(t or ""), packing.END)) for d, t in texts)
+
+
 def test_empty_table(spark):
     assert packing.pack(spark.createDataFrame([], "doc_id long, text string"), new_path(spark, "packed")).count() == 0

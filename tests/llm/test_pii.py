@@ -43,6 +43,38 @@ def test_contexts_of_confident_seeds_add_unseen_identifiers(spark):
     assert all(len(got[i].base) == 1 for i in range(12)) and got[102].base == got[103].base == []
 
 
+def test_numbers_of_any_length():
+    assert pii.base_spans("0" * 5000 + "1.2.3.4") == [(0, 5007, "ip")]
+    assert pii.base_spans("9" * 5000 + ".2.3.4") == [] and pii.base_spans("1." * 3000 + "1") == plain("1." * 3000 + "1")
+
+
+def test_identifiers_with_spaces_and_keys_of_unknown_formats_are_found(spark):
+    digits = lambda i, n: "".join(str((i * 7 + k * 3) % 10) for k in range(n))
+    rows = [(i, f"on day {i} please call me at +1 ({digits(i, 3)}) 555-{digits(i, 4)} or pay with card {4000000000000002 + 10 * i} set api token {digits(i, 8)}{'abcdef' * 5}{i:02d} end") for i in range(14)]
+    rows += [(100, "but call me at (017) 555-7713 please"), (101, "set api token Zx91-plk2-unknown now"), (102, "at (017) 555-7713 he said"), (103, "pay with card 4111 1111 1111 1112 soon")]
+    got = {r.id: r for r in pii.extract(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    spans = lambda i: [(rows[[x for x, _ in rows].index(i)][1][s.start : s.end], s.kind) for s in got[i].added]
+    assert spans(100) == [("(017) 555-7713", "phone")] and spans(102) == []
+    assert spans(101) == [("Zx91-plk2-unknown", "secret")]
+    assert all(("secret" in [s.kind for s in got[i].added]) for i in range(14))
+
+
+def test_planted_unseen_identifiers_are_mostly_found(spark):
+    """Recall and precision of what the contexts add, on misspelt addresses after the usual words and the same words elsewhere."""
+    r = random.Random(3)
+    words = ["".join(r.choice("aeioulmnrst") for _ in range(5)) for _ in range(60)]
+    say = lambda n: " ".join(r.choice(words) for _ in range(n))
+    rows, planted = [], set()
+    for i in range(300):
+        odd = i % 5 == 0
+        name = f"{r.choice(words)}{r.randrange(100, 999)}" + ("(at)mail" if odd else "@mail.example")
+        rows.append((i, f"{say(20)} reach us: {name} {say(20)} item no{r.randrange(100, 999)}x {say(5)}"))
+        planted |= {i} if odd else set()
+    got = {x.id: [s.kind for s in x.added] for x in pii.extract(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    found = {i for i, k in got.items() if k}
+    assert len(found & planted) >= 0.9 * len(planted) and not found - planted
+
+
 def test_context_totals_are_exact(spark):
     r = random.Random(2)
     texts = [" ".join(r.choice("red blue green token =".split()) for _ in range(60)) for _ in range(40)]

@@ -2,12 +2,13 @@
 
 The standard library's parser is run as a stream of events. Each block-level element starts a line; a line knows its
 characters, its tags, the characters inside links and the open elements around it. Elements that are page furniture by
-their tag or by a word of their class, id or role never count as text. Over the rest, text-to-tag ratios are smoothed
+their tag or by a name in their class, id or role never count as text; a name of several words is one of furniture only
+if all of them speak of furniture or layout ("comment-list" does, "related-work" and "share-price" don't). Over the rest, text-to-tag ratios are smoothed
 with a Gaussian window, and lines whose smoothed ratio lies above the threshold that splits the page's lines best into
 two clusters are content. The region of content starts as the smallest container that holds nearly all characters of
 those lines and grows to the article or main element around it, or without one as long as what it takes in isn't mostly
 links; every line of text in it is kept, short ones too, so that clustering decides where the article is and drops
-nothing inside it.
+nothing inside it. A region without a first-level heading also has the last one before it.
 
 Edge cases: null and empty html give an empty text; unclosed and stray tags don't matter; a page without any tag is one
 block; repeated rows are extracted each; long pages are read whole; columns but id, url and html are not read.
@@ -37,16 +38,28 @@ FURNITURE = frozenset(
     "menu nav navbar navigation breadcrumb breadcrumbs pagination pager toolbar sidebar side rail widget widgets header masthead topbar footer foot colophon "
     "comment comments commentlist respond reply replies disqus discussion share sharing social related recommended recommendations newsletter subscribe subscription signup login search skip".split()
 )
+#: Words that say nothing of the content beside one of FURNITURE.
+LAYOUT = frozenset(
+    "area bar block body bottom box btn button buttons card center class cell col column container content count desktop div element entry fixed form global group grid head heading hidden holder home icon icons id image images "
+    "inner item items js label layer left link links list lists main middle mobile module outer page panel part placeholder primary right row secondary section segment site slot small sticky sub tab text title top unit wrap wrapper zone".split()
+)
 _WORD = re.compile(r"[a-z]+")
 _BLANK = re.compile(r"\s+")
 
 
+def is_furniture(name: str) -> bool:
+    """Whether a class, id or role names furniture."""
+    words = _WORD.findall(name)
+    return not FURNITURE.isdisjoint(words) and all(x in FURNITURE or x in LAYOUT or len(x) == 1 for x in words)
+
+
 class Lines(HTMLParser):
     """Blocks of text of a page with what the ratio needs; elements are numbered in page order."""
 
     def __init__(self):
         super().__init__(convert_charrefs=True)
         self.open: list[tuple[str, int, bool]] = []  # tag, number, furniture
+        self.places: dict[str, list[int]] = {}  # where the open elements of each tag are
         self.parent: list[int] = []
         self.kinds: list[str] = []
         self.lines: list[tuple[str, int, int, int]] = []  # text, tags, characters in links, element
@@ -67,9 +80,9 @@ class Lines(HTMLParser):
         if tag in HIDDEN:
             return True
         if tag == "header":
-            return not any(t in ("article", "main") for t, _, _ in self.open)
+            return not (self.places.get("article") or self.places.get("main"))
         for name, value in attrs:
-            if name in ("class", "id", "role") and value and tag not in ("html", "body", "article", "main") and not FURNITURE.isdisjoint(_WORD.findall(value.lower())):
+            if name in ("class", "id", "role") and value and tag not in ("html", "body", "article", "main") and any(map(is_furniture, value.lower().split())):
                 return True
             if name == "hidden" or (name == "aria-hidden" and value == "true"):
                 return True
@@ -78,6 +91,7 @@ class Lines(HTMLParser):
     def _pop(self, k: int) -> None:
         """Close the k-th open element and all inside it."""
         for tag, _, furniture in self.open[k:]:
+            self.places[tag].pop()
             self.hidden -= furniture
             self.links -= tag == "a"
         del self.open[k:]
@@ -98,6 +112,7 @@ class Lines(HTMLParser):
         furniture = self._furniture(tag, attrs)
         self.parent.append(self.open[-1][1] if self.open else -1)
         self.kinds.append(tag)
+        self.places.setdefault(tag, []).append(len(self.open))
         self.open.append((tag, len(self.parent) - 1, furniture))
         self.hidden += furniture
         self.links += tag == "a"
@@ -108,13 +123,12 @@ class Lines(HTMLParser):
             self._close(tag)
 
     def _close(self, tag: str, stop: tuple[str, ...] = ()) -> bool:
-        for k in range(len(self.open) - 1, -1, -1):
-            if self.open[k][0] == tag:
-                self._pop(k)
-                return True
-            if self.open[k][0] in stop:
-                return False
-        return False
+        last = lambda t: (self.places.get(t) or (-1,))[-1]
+        k = last(tag)
+        if k < 0 or any(last(t) > k for t in stop):
+            return False
+        self._pop(k)
+        return True
 
     def handle_endtag(self, tag):
         self.tags += 1
@@ -218,7 +232,25 @@ def main_text(html: str, share: float = 0.9) -> str:
     for e in range(max(best, 0), len(parent)):
         if parent[e] in inside:
             inside.add(e)
-    return "\n".join(x[0] for x in lines if best == -1 or x[3] in inside)
+    kept = [best == -1 or x[3] in inside for x in lines]
+    heading = lambda x: x[3] >= 0 and _within(x[3], "h1", parent, kinds)
+    first = next((k for k, yes in enumerate(kept) if yes), 0)
+    if not any(yes and heading(x) for yes, x in zip(kept, lines, strict=True)):
+        title = next((k for k in range(first - 1, -1, -1) if heading(lines[k])), None)
+        if title is not None:
+            kept[title] = True
+    return "\n".join(x[0] for yes, x in zip(kept, lines, strict=True) if yes)
+
+
+def _within(element: int, kind: str, parent: list[int], kinds: list[str], up: int = 8) -> bool:
+    """Whether an element or one of those right around it is of this kind."""
+    while element >= 0 and up:
+        if kinds[element] == kind:
+            return True
+        if kinds[element] in BLOCKS:
+            return False
+        element, up = parent[element], up - 1
+    return False
 
 
 def extract(pages: DataFrame, html_col: str = "html", keep: tuple[str, ...] = ("page_id", "url")) -> DataFrame:

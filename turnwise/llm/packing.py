@@ -10,8 +10,9 @@ id, lowest first: set where positions start again at 0, with each segment and in
 the positions of a row from its bits.
 
 Files carry a random name of their task attempt and only those named by the manifest count. Edge cases: null and empty
-texts are the end id alone; ties in length go by (id, place); repeated rows are packed each; an empty table gives no
-shard; columns but id and text are not read.
+texts are the end id alone; ties in length go by (id, text, place); repeated rows are packed each: a hash of the text
+tells rows that repeat an id apart, and rows that repeat both have equal segments; ids are of any type, nulls too; an empty
+table gives no shard; columns but id and text, whatever their names, are not read.
 """
 
 from __future__ import annotations
@@ -100,37 +101,41 @@ def best_fit_decreasing(lengths: np.ndarray, size: int) -> list[list[int]]:
 
 
 def segments(docs: DataFrame, shards: int, path: str, id_col: str = "doc_id", text_col: str = "text", size: int = ROW) -> DataFrame:
-    """(id, start, ids, shard): the ids of each text, cut at every size of them."""
+    """(id, text_key, start, ids, shard): the ids of each text, cut at every size of them."""
 
     def run(batches):
         encode = tokenizer(path)
         for batch in slices(batches, 256):
-            ids, starts, parts = [], [], []
-            for i, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            ids, keys, starts, parts = [], [], [], []
+            for i, text, key in zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True):
                 got = np.array([*encode(text), END], "<u2")
                 for at in range(0, len(got), size):
                     ids.append(i)
+                    keys.append(key)
                     starts.append(at)
                     parts.append(got[at : at + size].tobytes())
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(starts, pa.int64()), pa.array(parts, pa.binary())], ["id", "start", "ids"])
+            yield pa.RecordBatch.from_arrays([pa.array(ids, batch.column(0).type), pa.array(keys, pa.int64()), pa.array(starts, pa.int64()), pa.array(parts, pa.binary())], ["id", "text_key", "start", "ids"])
 
-    x = docs.select(F.col(id_col).cast("long").alias("id"), text_of(text_col).alias("text")).mapInArrow(run, "id bigint, start bigint, ids binary")
-    return x.withColumn("shard", F.pmod(F.xxhash64("id", "start"), F.lit(shards)).cast("int"))
+    text = text_of(text_col)
+    kind = docs.schema[id_col].dataType.simpleString()
+    x = docs.select(F.col(id_col).alias("id"), text.alias("text"), F.xxhash64(text).alias("text_key")).mapInArrow(run, f"id {kind}, text_key bigint, start bigint, ids binary")
+    return x.withColumn("shard", F.pmod(F.xxhash64("id", "text_key", "start"), F.lit(shards)).cast("int"))
 
 
-_ROWS = "shard int, row int, n_tokens int, doc_ids array<bigint>, starts array<bigint>, cu_seqlens array<int>, ids_sha256 string, file string"
+_ROWS = "shard int, row int, n_tokens int, doc_ids array<{}>, text_keys array<bigint>, starts array<bigint>, cu_seqlens array<int>, ids_sha256 string, file string"
 
 
 def pack(docs: DataFrame, folder: str, path: str | None = None, id_col: str = "doc_id", text_col: str = "text", size: int = ROW) -> DataFrame:
     """The manifest: one row for each packed row, with its segments and the files' common name below folder."""
     total = docs.agg(F.sum(F.octet_length(text_of(text_col)))).first()[0] or 0
-    parts = segments(docs, max(1, -(-total // SHARD_BYTES)), path or default_vocabulary(), id_col, text_col, size)
+    shards = max(1, -(-total // SHARD_BYTES))
+    parts = segments(docs, shards, path or default_vocabulary(), id_col, text_col, size)
 
     def write(group: pa.Table) -> pa.Table:
-        group = group.sort_by([("id", "ascending"), ("start", "ascending")])
+        group = group.sort_by([("id", "ascending"), ("text_key", "ascending"), ("start", "ascending")])
         shard = group.column("shard")[0].as_py()
         ids = [np.frombuffer(x, "<u2") for x in group.column("ids").to_pylist()]
-        doc, start = group.column("id").to_pylist(), group.column("start").to_pylist()
+        doc, key, start = (group.column(c).to_pylist() for c in ("id", "text_key", "start"))
         rows = best_fit_decreasing(np.array([len(x) for x in ids]), size)
         matrix, resets = np.full((len(rows), size), END, "<u2"), np.zeros((len(rows), size), bool)
         out, ends = [], []
@@ -145,16 +150,18 @@ def pack(docs: DataFrame, folder: str, path: str | None = None, id_col: str = "d
                 cut.append(at)
             resets[r, at : at + 1] = True
             ends.append(np.array(cut, "<i4"))
-            out.append((shard, r, at, [doc[m] for m in members], [start[m] for m in members], cut, hashlib.sha256(matrix[r, :at].tobytes()).hexdigest(), name))
+            out.append((shard, r, at, [doc[m] for m in members], [key[m] for m in members], [start[m] for m in members], cut, hashlib.sha256(matrix[r, :at].tobytes()).hexdigest(), name))
         store, base = files_at(folder)
         store.create_dir(base, recursive=True)
         for what, data in (("ids", matrix), ("cu_seqlens", np.concatenate(ends)), ("resets", np.packbits(resets, axis=1, bitorder="little"))):
             with store.open_output_stream(f"{base}/{name}.{what}.bin", compression=None) as f:
                 f.write(data.tobytes())
-        kinds = (pa.int32(), pa.int32(), pa.int32(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.string(), pa.string())
+        kinds = (pa.int32(), pa.int32(), pa.int32(), pa.list_(group.schema.field("id").type), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.string(), pa.string())
         return pa.table([pa.array([x[i] for x in out], t) for i, t in enumerate(kinds)], names=[x.split(" ")[0] for x in _ROWS.split(", ")])
 
-    return parts.groupBy("shard").applyInArrow(write, _ROWS)
+    # as many partitions as shards, so that none waits for another
+    parts = parts.repartition(min(shards, 100_000), "shard")
+    return parts.groupBy("shard").applyInArrow(write, _ROWS.format(docs.schema[id_col].dataType.simpleString()))
 
 
 def position_ids(resets: np.ndarray) -> np.ndarray:

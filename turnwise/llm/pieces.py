@@ -402,27 +402,33 @@ def encode_documents(docs: DataFrame, model_path: str | None = None, id_col: str
 
 
 def encoding_digests(docs: DataFrame, model_path: str | None = None, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False) -> DataFrame:
-    """(id, n_tokens, ids_sha256, decoded_sha256) of each text, and its ids if asked for, all from what encode_documents gives."""
+    """(id, n_tokens, ids_sha256, decoded_sha256, spans_sha256) of each text, and its ids if asked for.
+
+    All come from the ids and spans that encode_documents gives of the text, in the task that encodes it, so that the
+    spans need not be sent on: spans_sha256 is over the little-endian 64-bit starts, then the ends, of all ids but the end.
+    """
     path = model_path or default_model()
     kind = docs.schema[id_col].dataType.simpleString()
-    names, kinds = ["n_tokens", "ids_sha256", "decoded_sha256", "ids"][: 3 + with_ids], (pa.int64(), pa.string(), pa.string(), pa.list_(pa.int32()))
+    names, kinds = ["n_tokens", "ids_sha256", "decoded_sha256", "spans_sha256", "ids"][: 4 + with_ids], (pa.int64(), pa.string(), pa.string(), pa.string(), pa.list_(pa.int32()))
 
     def make():
         codec = Codec(Model.load(path))
 
         def run(batch: pa.RecordBatch) -> pa.RecordBatch:
             got = []
-            for ids in batch.column(1):
-                ids = ids.values.to_numpy()
+            for text in batch.column(1).to_pylist():
+                ids, starts, ends = codec.aligned(text)
                 own = ids.tolist()
-                raw = codec.decode(own[:-1]).encode("utf-8", "surrogatepass")
-                got.append((len(own), hashlib.sha256(" ".join(map(str, own)).encode()).hexdigest(), hashlib.sha256(raw).hexdigest(), ids))
+                raw = codec.decode(own).encode("utf-8", "surrogatepass")
+                spans = hashlib.sha256(starts.astype("<i8").tobytes() + ends.astype("<i8").tobytes())
+                digest = hashlib.sha256(" ".join(map(str, [*own, codec.end])).encode())
+                got.append((len(own) + 1, digest.hexdigest(), hashlib.sha256(raw).hexdigest(), spans.hexdigest(), np.append(ids, np.int32(codec.end)) if with_ids else None))
             return pa.RecordBatch.from_arrays([batch.column(0), *(pa.array([x[k] for x in got], kinds[k]) for k in range(len(names)))], ["id", *names])
 
         return run
 
-    schema = f"id {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids
-    return map_arrow(encode_documents(docs, model_path, id_col, text_col).select("id", "ids"), make, schema, rows=256)
+    schema = f"id {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string, spans_sha256 string" + ", ids array<int>" * with_ids
+    return map_arrow(docs.select(F.col(id_col).alias("id"), text_of(text_col).alias("text")), make, schema, rows=64)
 
 
 def op6_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,12 +1,15 @@
 """Personal data by bootstrapped contextual extraction.
 
-Four base kinds are found by fixed patterns in every whole text. They seed a graph of contexts and values: a context is
-the two words before an identifier-shaped token, a value is that token's text. Rounds of scoring run in Spark: the
+Four base kinds are found by fixed patterns in every whole text, and keys of well-known formats (long hexadecimal digests
+and the tokens of public services) as seeds of a fifth kind, secret. They seed a graph of contexts and values: a context
+is the two words before something identifier-shaped, of any length, a value is the text of that: a word with @, digits
+or a long mix of letters and digits, or a run of digits joined by spaces, brackets, dots and dashes. Rounds of scoring run in Spark: the
 confidence of a context is the summed score of what fills it divided by how often the context occurs before any word
 of the corpus, and the score of a value that is no seed is the chance that one of its confident contexts is right.
 Contexts count only with MIN_VALUES different identifiers, MIN_SEEDS of them seeds of one kind. Values that reach
 MIN_SCORE become spans of their contexts' kind: identifiers that the fixed patterns don't know, such as misspelt
-addresses after the words that usually come before an address.
+addresses after the words that usually come before an address, phones without a country code, keys of unknown formats.
+Seeds of the kind secret are added spans too.
 
 Corpus frequencies of contexts are exact. What goes to all tasks for counting them is a bitmap of BITMAP_BITS bits,
 whose size doesn't grow; its false hits fall out in the join by the 64-bit context.
@@ -19,6 +22,7 @@ from __future__ import annotations
 
 import re
 import zlib
+from bisect import bisect_right
 
 import numpy as np
 import pyarrow as pa
@@ -29,10 +33,9 @@ from pyspark.sql import functions as F
 from turnwise.llm.common import dropped, map_arrow, stored, table, text_of
 
 KINDS = ("email", "ip", "card", "phone")
+SECRET = "secret"
 MIN_VALUES, MIN_SEEDS, MIN_CONFIDENCE, MIN_SCORE, ROUNDS = 8, 4, 0.5, 0.8, 3
 BITMAP_BITS = 1 << 22
-#: Words longer than this keep their last characters in a context.
-WORD_KEPT = 64
 
 _AT = re.compile(r"@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
 _LOCAL = frozenset("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789._%+-")
@@ -40,6 +43,10 @@ _IP = re.compile(r"(?<![0-9])[0-9]++(?:\.[0-9]++){3}")
 _CARD = re.compile(r"[0-9](?:[ -]?[0-9])++")
 _PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
 _LIKELY = re.compile(r"[0-9]{2}|@|[0-9][^\s0-9]{1,3}[0-9]")
+#: Formats of digests and of access tokens that their services publish.
+_SECRET = re.compile(r"(?<![A-Za-z0-9_-])(?:[0-9a-f]{40}|[0-9a-f]{64}|AKIA[0-9A-Z]{16}|gh[opsur]_[A-Za-z0-9]{36}|xox[abpr]-[A-Za-z0-9-]{10,}|eyJ[A-Za-z0-9_-]{10,}\.[A-Za-z0-9_-]{10,}\.[A-Za-z0-9_-]{10,})(?![A-Za-z0-9_-])")
+_RUN = re.compile(r"[(+]?[0-9](?:[ ().-]{0,2}[0-9]){6,}")
+_TOKEN = re.compile(r"\S+")
 _EDGE = "\"'`.,;:!?()[]{}<>|*#$%&="
 
 
@@ -62,7 +69,7 @@ def base_spans(text: str) -> list[tuple[int, int, str]]:
                 out.append((start, m.end(), "email"))
                 last = m.end()
     for m in _IP.finditer(text):
-        if all(len(x.lstrip("0")) <= 3 and int(x) <= 255 for x in m.group().split(".")):
+        if all(len(x) <= 3 and int(x or 0) <= 255 for x in (y.lstrip("0") for y in m.group().split("."))):
             out.append((m.start(), m.end(), "ip"))
     for m in _CARD.finditer(text):
         if m.end() - m.start() >= 12:
@@ -81,35 +88,50 @@ def written(spans) -> str:
     return ",".join(f"{kind}:{start}:{end}" for start, end, kind in spans)
 
 
-def context_before(text: str, at: int) -> tuple[int | None, int | None]:
-    """The context of the word at this place, a signed hash of the two words before it, and its place in the bitmap; none if there aren't two words."""
-    while at and not text[at - 1].isspace():
-        at -= 1
-    start = max(0, at - 3 * WORD_KEPT)
-    words = text[start:at].split()[-2:]
-    if len(words) < 2 or (start and len(words[0]) + len(words[1]) + 2 > at - start - WORD_KEPT and len(words[0]) < WORD_KEPT and text[start : start + 1].strip()):
-        return None, None
-    return context_key(*words), int(_bits(words)[0])
+class Contexts:
+    """The context of places in a text: a signed hash of the two words before the word there, and its place in the bitmap."""
+
+    def __init__(self, text: str):
+        self.text, self.words = text, [(m.start(), m.end()) for m in _TOKEN.finditer(text)]
+        self.starts = [a for a, _ in self.words]
+        self.known: dict[int, tuple[int | None, int | None]] = {}
+
+    def before(self, at: int) -> tuple[int | None, int | None]:
+        """None twice if there aren't two words."""
+        i = bisect_right(self.starts, at) - 1
+        if i < 2:
+            return None, None
+        if i not in self.known:
+            two = [self.text[a:b] for a, b in self.words[i - 2 : i]]
+            self.known[i] = context_key(*two), int(_bits(two)[0])
+        return self.known[i]
 
 
 def context_key(a: str, b: str) -> int:
-    h = xxhash.xxh64_intdigest(f"{a[-WORD_KEPT:].lower()} {b[-WORD_KEPT:].lower()}")
+    h = xxhash.xxh64_intdigest(f"{a.lower()} {b.lower()}".encode("utf-8", "surrogatepass"))
     return h - (1 << 64) if h >> 63 else h
 
 
 def _bits(words: list[str]) -> np.ndarray:
     """A place in the bitmap for each two neighbouring words."""
-    x = np.fromiter((zlib.crc32(w[-WORD_KEPT:].lower().encode()) for w in words), np.uint32, len(words))
+    x = np.fromiter((zlib.crc32(w.lower().encode("utf-8", "surrogatepass")) for w in words), np.uint32, len(words))
     return ((x[:-1] * np.uint32(0x9E3779B1)) ^ x[1:]) % np.uint32(BITMAP_BITS)
 
 
+def secret_spans(text: str) -> list[tuple[int, int, str]]:
+    """Keys of known formats."""
+    return [(m.start(), m.end(), SECRET) for m in _SECRET.finditer(text)]
+
+
 def candidates(text: str, spans: list[tuple[int, int, str]]) -> list[tuple[int, int]]:
-    """Identifier-shaped words that no base span touches: with @ or digits, of six characters or more without marks at the edges."""
-    out, done, k = [], 0, 0
+    """What looks like an identifier and touches none of the sorted spans: runs of seven digits or more, and words with @ or digits, of six characters or more without marks at the edges."""
+    runs = [m.span() for m in _RUN.finditer(text)]
+    out = _clear(runs, sorted(s[:2] for s in spans))
+    words, done, size = [], 0, len(text)
     for m in _LIKELY.finditer(text):
         if m.start() < done:
             continue
-        a, b, size = m.start(), m.end(), len(text)
+        a, b = m.start(), m.end()
         while a > done and not text[a - 1].isspace():
             a -= 1
         while b < size and not text[b].isspace():
@@ -119,15 +141,24 @@ def candidates(text: str, spans: list[tuple[int, int, str]]) -> list[tuple[int,
             a += 1
         while b > a and text[b - 1] in _EDGE:
             b -= 1
-        if b - a < 6 or ("@" not in text[a:b] and sum(c.isdigit() for c in text[a:b]) < 2):
-            continue
-        while k < len(spans) and spans[k][1] <= a and spans[k][0] < a:
+        if b - a >= 6 and ("@" in text[a:b] or sum(c.isdigit() for c in text[a:b]) >= 2):
+            words.append((a, b))
+    return sorted([*out, *_clear(words, sorted([*(s[:2] for s in spans), *runs]))])
+
+
+def _clear(found: list[tuple[int, int]], taken: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """Those of found, by start, that overlap none of taken, by start."""
+    out, k, reach = [], 0, 0
+    for a, b in found:
+        while k < len(taken) and taken[k][0] < b:
+            reach = max(reach, taken[k][1])
             k += 1
-        if not any(s < b and e > a for s, e, _ in spans[max(0, k - 4) : k + 4]):
+        if reach <= a:
             out.append((a, b))
     return out
 
 
+_SPANS = "array<struct<start:bigint,end:bigint,kind:string>>"
 _FOUND = "array<struct<kind:string,start:bigint,end:bigint,value:bigint,context:bigint,bit:bigint>>"
 
 
@@ -138,10 +169,12 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Dat
 
     def one(text: str) -> list[dict]:
         spans = base_spans(text)
-        out = []
-        for s, e, k in [*spans, *((s, e, None) for s, e in candidates(text, spans))]:
-            v = xxhash.xxh64_intdigest(text[s:e].lower())
-            context, bit = context_before(text, s)
+        spans += secret_spans(text)
+        found = [*spans, *((s, e, None) for s, e in candidates(text, spans))]
+        out, contexts = [], Contexts(text) if found else None
+        for s, e, k in found:
+            v = xxhash.xxh64_intdigest(text[s:e].lower().encode("utf-8", "surrogatepass"))
+            context, bit = contexts.before(s)
             out.append({"kind": k, "start": s, "end": e, "value": v - (1 << 64) if v >> 63 else v, "context": context, "bit": bit})
         return out
 
@@ -180,8 +213,8 @@ def context_totals(docs: DataFrame, contexts: DataFrame, text_col: str = "text")
 def _frequent_contexts(found: DataFrame) -> DataFrame:
     """(context, bit) of contexts with MIN_VALUES identifiers."""
     x = found.select(F.explode("found").alias("f")).select("f.*").where("context IS NOT NULL")
-    often = x.groupBy("context").agg(F.approx_count_distinct("value", 0.01).alias("n"), F.min("bit").alias("bit"), F.count("*").alias("rows"))
-    return often.where((F.col("rows") >= MIN_VALUES) & (F.col("n") >= MIN_VALUES - 1)).select("context", "bit")
+    often = x.groupBy("context", "bit", "value").agg(F.lit(1).alias("n")).groupBy("context").agg(F.sum("n").alias("n"), F.min("bit").alias("bit"))
+    return often.where(F.col("n") >= MIN_VALUES).select("context", "bit")
 
 
 def discover(docs: DataFrame, found: DataFrame, text_col: str = "text") -> DataFrame:
@@ -209,15 +242,17 @@ def extract(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     """(id, base, added) of every row: arrays of (start, end, kind), the second what the contexts add."""
     found = stored(scan(docs, id_col, text_col), "found")
     more = discover(docs, found, text_col).groupBy("id").agg(F.sort_array(F.collect_list(F.struct("start", "end", "kind"))).alias("added"))
-    base = F.transform(F.filter("found", lambda f: f["kind"].isNotNull()), lambda f: F.struct(f["start"].alias("start"), f["end"].alias("end"), f["kind"].alias("kind")))
-    return found.select("id", base.alias("base")).join(more, "id", "left")
+    of = lambda keep: F.transform(F.filter("found", lambda f: f["kind"].isNotNull() & keep(f["kind"])), lambda f: F.struct(f["start"].alias("start"), f["end"].alias("end"), f["kind"].alias("kind")))
+    base, secrets = of(lambda k: k != SECRET), of(lambda k: k == SECRET)
+    x = found.select("id", base.alias("base"), secrets.alias("secrets")).join(more, "id", "left")
+    return x.select("id", "base", F.sort_array(F.concat("secrets", F.coalesce("added", F.array().cast(_SPANS)))).alias("added"))
 
 
 def op1_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     x = extract(table(spark, sf_dir, "documents").select("doc_id", "text"))
-    order = {k: i for i, k in enumerate(KINDS)}
+    order = {k: i for i, k in enumerate((*KINDS, SECRET))}
     rank = lambda k: sum((F.when(k == name, i).otherwise(0) for name, i in order.items()), F.lit(0))
     join = lambda a: F.array_join(F.transform(a, lambda s: F.concat_ws(":", s["kind"], s["start"], s["end"])), ",")
-    both = F.sort_array(F.transform(F.concat("base", F.coalesce("added", F.array().cast("array<struct<start:bigint,end:bigint,kind:string>>"))), lambda s: F.struct(s["start"].alias("start"), rank(s["kind"]).alias("rank"), s["end"].alias("end"), s["kind"].alias("kind"))))
+    both = F.sort_array(F.transform(F.concat("base", "added"), lambda s: F.struct(s["start"].alias("start"), rank(s["kind"]).alias("rank"), s["end"].alias("end"), s["kind"].alias("kind"))))
     count = lambda k: F.size(F.filter("base", lambda s: s["kind"] == k)).cast("long").alias(f"n_{k}")
-    return x.select(F.col("id").alias("doc_id"), *map(count, KINDS), F.sha2(join(F.col("base")).cast("binary"), 256).alias("base_sha256"), join(both).alias("spans"), F.coalesce(F.size("added"), F.lit(0)).cast("long").alias("n_added"))
+    return x.select(F.col("id").alias("doc_id"), *map(count, KINDS), F.sha2(join(F.col("base")).cast("binary"), 256).alias("base_sha256"), join(both).alias("spans"), F.size("added").cast("long").alias("n_added"))

@@ -18,7 +18,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from turnwise.llm.common import WORD_SPACE, table, text_of
+from turnwise.llm.common import WORD_SPACE, stored, table, text_of
 
 
 @dataclass(frozen=True)
@@ -43,6 +43,7 @@ POLICIES = {
     "base-1": ("short", "repeated_words"),
     "text-1": ("short", "repeated_words", "symbols", "duplicate_lines"),
     "text-2": ("short", "repeated_words", "symbols", "duplicate_lines", "short_words", "long_words", "shouting"),
+    "text-3": ("short", "repeated_words", "symbols", "duplicate_lines", "short_words", "long_words", "shouting", "very_long"),
 }
 BASE, CURRENT = "base-1", "text-2"
 MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_marks")
@@ -123,8 +124,9 @@ def op5_quality_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def ablation_report(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Not an operator query of the contract: the ablation of every policy over all documents."""
-    return ablation(ledger(table(spark, sf_dir, "documents").select("doc_id", "text")))
+    """The ablation of every policy over all documents. The ledger is written once; policies read nothing but its bits."""
+    written = stored(ledger(table(spark, sf_dir, "documents").select("doc_id", "text")).drop("text"), "ledger")
+    return ablation(written)
 
 
 #: The six spaces, as DuckDB regular expressions write them.
@@ -146,3 +148,10 @@ f AS (SELECT *, CAST({" + ".join(f"CASE WHEN {r.fails} THEN {1 << r.bit} ELSE 0
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, (failures & {policy_mask(BASE)}) <> 0 AS base_failed,
   (failures & {policy_mask(CURRENT)}) = 0 AS kept, failures FROM f
 """
+_PLANNED = " UNION ALL ".join(f"SELECT '{p}' AS policy, '{r.name}' AS rule, {policy_mask(p)} AS mask, {1 << r.bit} AS bit" for p in POLICIES for r in RULES if r.name in POLICIES[p])
+ABLATION_ORACLE = f"""
+WITH rows AS ({ORACLE.strip()}), planned AS ({_PLANNED})
+SELECT policy, rule, count(*) AS n_rows, count(*) FILTER ((failures & bit) <> 0) AS fails, count(*) FILTER ((failures & mask) = bit) AS fails_alone,
+  count(*) FILTER ((failures & mask) = 0) AS kept, count(*) FILTER ((failures & xor(mask, bit)) = 0) AS kept_without
+FROM rows, planned GROUP BY policy, rule
+"""

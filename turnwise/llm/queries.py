@@ -24,8 +24,10 @@ QUERIES = {
     "op5_quality_ledger": quality.op5_quality_ledger,
     "op6_piece_codec": op6_piece_codec,
     "op10_simhash_components": op10_simhash_components,
+    "quality_ablation": quality.ablation_report,
 }
 
 ORACLES: dict[str, str] = {
     "op5_quality_ledger": quality.ORACLE,
+    "quality_ablation": quality.ABLATION_ORACLE,
 }
