@@ -8,8 +8,9 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from turnwise.model import Graph
+from turnwise.operators.order import number_in_class
 from turnwise.operators.prefix import two_level_prefix
-from turnwise.storage import stored
+from turnwise.storage import dropped, stored
 
 MULTIPLIER, SHIFT = 7919, 13
 
@@ -41,8 +42,8 @@ def _numbered(keys: DataFrame, n: int) -> DataFrame:
     span = 0 if span is None else int(span)
     counts = keys.groupBy("at").agg(F.count("*").alias("n"))
     before = two_level_prefix(counts, "at", "n", span + 1)
-    w = Window.partitionBy("at").orderBy("old")
-    return keys.join(before, "at").select("old", (F.col("start") + F.row_number().over(w) - 1).alias("new"))
+    inside = number_in_class(keys, "old", "at")
+    return keys.join(before, "at").join(inside, ["old", "at"]).select("old", (F.col("start") + F.col("_number")).alias("new"))
 
 
 def relabel_first_seen(g: Graph, order: str = "src") -> Graph:
@@ -63,17 +64,22 @@ def relabel_degree(g: Graph) -> Graph:
     return relabel_by(g, _numbered(all_.select("old", (F.lit(top) - F.col("n")).alias("at")), n))
 
 
-def relabel_bfs(g: Graph, rounds: int = 64) -> Graph:
+def relabel_bfs(g: Graph) -> Graph:
     """Ids by distance from vertex 0 over edges in both directions, what is out of reach last; a round is written before the next."""
     n = max(g.n_src, g.n_dst)
     both = g.edges.select(F.col("src").alias("a"), F.col("dst").alias("b")).unionByName(g.edges.select(F.col("dst").alias("a"), F.col("src").alias("b"))).distinct()
     level = g.edges.sparkSession.range(n).select(F.col("id").alias("old"), F.when(F.col("id") == 0, 0).cast("long").alias("at"))
-    for step in range(1, rounds + 1):
+    step, before = 0, None
+    while True:
+        step += 1
         reach = both.join(level.where(F.col("at") == step - 1).select(F.col("old").alias("a")), "a").select(F.col("b").alias("old")).distinct().withColumn("_r", F.lit(step).cast("long"))
         level = stored(level.join(reach, "old", "left").select("old", F.coalesce("at", "_r").alias("at")), "levels")
+        if before is not None:
+            dropped(before)
+        before = level
         if level.where(F.col("at") == step).isEmpty():
             break
-    return relabel_by(g, _numbered(level.select("old", F.coalesce("at", F.lit(rounds + 1)).alias("at")), n))
+    return relabel_by(g, _numbered(level.select("old", F.coalesce("at", F.lit(step)).alias("at")), n))
 
 
 def representations(g: Graph) -> dict[str, Graph]:

@@ -7,9 +7,11 @@ Arrays per vertex are only a view, since a very frequent vertex would be one row
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass, replace
+from functools import wraps
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
@@ -21,6 +23,11 @@ class InvalidEdges(ValueError):
         self.nulls, self.outside = nulls, outside
 
 
+def quoted(name: str) -> Column:
+    """The column of this name, whatever marks are in it."""
+    return F.col("`" + name.replace("`", "``") + "`")
+
+
 @dataclass(frozen=True)
 class Graph:
     edges: DataFrame
@@ -32,7 +39,7 @@ class Graph:
     @classmethod
     def of(cls, edges: DataFrame, n_src: int, n_dst: int | None = None, *, dedup: bool = False, symmetric: bool = False) -> Graph:
         """Edges with columns src and dst, cast to long; dedup turns the multiset into a set."""
-        edges = edges.withColumns({"src": F.col("src").cast("long"), "dst": F.col("dst").cast("long")}).select("src", "dst", *[c for c in edges.columns if c not in ("src", "dst")])
+        edges = edges.withColumns({"src": F.col("src").cast("long"), "dst": F.col("dst").cast("long")}).select("src", "dst", *[quoted(c) for c in edges.columns if c not in ("src", "dst")])
         return cls(edges.distinct() if dedup else edges, n_src, n_src if n_dst is None else n_dst, symmetric=symmetric)
 
     @property
@@ -88,6 +95,20 @@ class Csr:
         return v.join(lists.withColumnRenamed("owner", "vertex"), "vertex", "left").select("vertex", F.coalesce(F.transform("l", keep), F.array()).alias("neighbors"))
 
 
+def any_payload(method: Callable[..., Csr]) -> Callable[..., Csr]:
+    """method for graphs whose payload columns may have any names but those of the result: inside they are numbered."""
+
+    @wraps(method)
+    def run(g: Graph, *args, **kwargs) -> Csr:
+        names = g.payload
+        if taken := {"pos", "endpoint"} & {c.lower() for c in names}:
+            raise ValueError(f"payload columns can't be named {', '.join(sorted(taken))}")
+        csr = method(g.with_edges(g.edges.select("src", "dst", *[quoted(c).alias(f"payload_{i}") for i, c in enumerate(names)])), *args, **kwargs)
+        return replace(csr, endpoints=csr.endpoints.select("pos", "endpoint", *[F.col(f"payload_{i}").alias(c) for i, c in enumerate(names)]))
+
+    return run
+
+
 def edges_of(csr: Csr) -> DataFrame:
     """(owner, endpoint, pos, payload...): who owns each position. Both sides meet in ranges of positions, an equi-join."""
     width = 1 << 16

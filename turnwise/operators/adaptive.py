@@ -65,10 +65,11 @@ def decide(g: Graph, hot: DataFrame, *, blocks: int, cost: str = "rows", probe_f
     s = edge_stats(g, hot)
     c = s["covered"] / s["edges"] if s["edges"] else 0.0
     h = 0.0
-    largest = (s["largest"], max(s["largest_cold"], -(-s["edges"] // max(1, blocks))))
+    # a hot vertex's edges are dealt over the blocks
+    largest = (s["largest"], max(s["largest_cold"], -(-s["largest"] // max(1, blocks))))
     if cost == "rows":
         a, b = float(shared_rows(s["edges"])), float(hybrid_rows(s["edges"], s["covered"], s["k"], blocks))
-        # clustering by block costs a pass over all edges; it pays if a fifth of the rows stays at home or the straggler halves
+        # looking up every endpoint has its price; it pays if a fifth of the rows stays at home or the straggler halves
         use = s["k"] > 0 and (b <= 0.8 * a or (b < a and largest[1] * 2 <= largest[0]))
     elif cost == "model":
         h = hit_ratio_direct(probe_edges(g, max(probe_fraction, 0.1)), lines).first()["hit_ratio"] or 0.0

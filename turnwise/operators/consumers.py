@@ -72,11 +72,13 @@ def reciprocity(g: Graph) -> DataFrame:
     return e.join(back, ["src", "dst"], "left").agg(F.count("*").alias("edges"), F.count("_b").alias("mutual"))
 
 
-def bfs(g: Graph, root: int, rounds: int = 64) -> DataFrame:
-    """(id, level) of what can be reached; a round is written before the next."""
+def bfs(g: Graph, root: int, rounds: int | None = None) -> DataFrame:
+    """(id, level) of what can be reached, within so many rounds if given; a round is written before the next."""
     e = g.edges.select("src", "dst").distinct()
     seen = stored(e.sparkSession.createDataFrame([(root, 0)], "id long, level long"), "bfs")
-    for step in range(1, rounds + 1):
+    step = 0
+    while rounds is None or step < rounds:
+        step += 1
         front = seen.where(F.col("level") == step - 1).select(F.col("id").alias("src"))
         new = e.join(front, "src").select(F.col("dst").alias("id")).distinct().join(seen, "id", "left_anti").withColumn("level", F.lit(step).cast("long"))
         grown = stored(seen.unionByName(new), "bfs")
@@ -88,13 +90,13 @@ def bfs(g: Graph, root: int, rounds: int = 64) -> DataFrame:
     return seen
 
 
-def components(g: Graph, rounds: int = 64) -> DataFrame:
+def components(g: Graph) -> DataFrame:
     """(id, component): smallest id reachable over edges in either direction, by spreading minima and following their labels."""
     both = g.edges.select("src", "dst").unionByName(g.edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).distinct()
     both = stored(both, "both")
     n = max(g.n_src, g.n_dst)
     label = stored(both.sparkSession.range(n).select("id", F.col("id").alias("component")), "label")
-    for _ in range(rounds):
+    while True:
         least = both.join(label.withColumnRenamed("id", "src"), "src").groupBy(F.col("dst").alias("id")).agg(F.min("component").alias("_m"))
         near = label.join(least, "id", "left").select("id", "component", F.least("component", F.coalesce("_m", "component")).alias("_c"))
         far = near.join(label.select(F.col("id").alias("_c"), F.col("component").alias("_cc")), "_c").select("id", "component", F.col("_cc").alias("new"))
@@ -103,8 +105,8 @@ def components(g: Graph, rounds: int = 64) -> DataFrame:
         dropped(label)
         label = new
         if not moved:
-            break
-    return label.select("id", "component")
+            dropped(both)
+            return label.select("id", "component")
 
 
 def triangles(g: Graph) -> DataFrame:

@@ -12,10 +12,14 @@ from turnwise.operators.order import rank_by_frequency
 from turnwise.operators.prefix import prefix_offsets
 
 SAMPLE_RATE = 0.01
+#: Most hot vertices that are sent to every task: 64 MB of ids and numbers.
+MOST_HOT = 1 << 22
 
 
 def numbered(freq: DataFrame, k: int, method: str = "sort") -> DataFrame:
     """(dst, hot_index, n): the k most frequent of (dst, n), ties to the smaller id, numbered from 0. k is bounded by hot_capacity()."""
+    if k > MOST_HOT:
+        raise ValueError(f"at most {MOST_HOT} hot vertices go to every task")
     if k <= 0:
         return freq.select("dst", F.lit(0).alias("hot_index"), "n").limit(0)
     if method == "counting":
@@ -76,6 +80,13 @@ def sample_bound(phi: float, eps: float, delta: float) -> int:
     return math.ceil(3 * math.log(2 / (delta * phi)) / (eps**2 * phi))
 
 
+def checked_hot(hot: DataFrame) -> DataFrame:
+    """hot, if it is small enough to go to every task."""
+    if hot.limit(MOST_HOT + 1).count() > MOST_HOT:
+        raise ValueError(f"at most {MOST_HOT} hot vertices go to every task")
+    return hot
+
+
 def tag_hot(edges: DataFrame, hot: DataFrame) -> DataFrame:
-    """edges with hot_index, null where the endpoint is cold: one hash probe an edge. hot has at most k rows, the checked bound of hot_capacity()."""
+    """edges with hot_index, null where the endpoint is cold: one hash probe an edge. hot has at most MOST_HOT rows, which numbered() and checked_hot() see to."""
     return edges.join(F.broadcast(hot.select("dst", "hot_index")), "dst", "left")

@@ -1,8 +1,10 @@
 """Hot endpoints on private state, cold ones on shared state.
 
-Edges are clustered by block once. Counts of hot endpoints stay in their block's task and leave it as at most k rows a
-block; only cold edges travel to the owner of their endpoint. In the placing step a hot edge gets its slot from its
-block's own insertion point and never travels by endpoint, so the most frequent vertex is spread over all blocks.
+Counts of hot endpoints are summed where the edges are read and leave a task as at most k rows a block; only cold edges
+travel to the owner of their endpoint. In the placing step a hot edge gets its slot from its block's own insertion point
+and never travels by endpoint, so the most frequent vertex is spread over all blocks. Edges at rest by block (a table
+bucketed by it, see sources.files.write_blocks) keep their hot edges at home in that step too; others send them once, by
+block and hot vertex. Insertion points are k rows a block and meet the hot edges where those are.
 """
 
 from __future__ import annotations
@@ -10,9 +12,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from turnwise.model import Csr, Graph
+from turnwise.model import Csr, Graph, any_payload
 from turnwise.operators.blocks import edge_blocks
-from turnwise.operators.hotset import tag_hot
+from turnwise.operators.hotset import checked_hot, tag_hot
 from turnwise.operators.prefix import prefix_offsets
 
 LOW = 256  # fixed value: a low counter is one byte
@@ -37,7 +39,7 @@ def hybrid_degrees(tagged: DataFrame, blocks: int) -> tuple[DataFrame, DataFrame
     """cold (dst, n) and hot_partials (block, hot_index, dst, low, high): step 1."""
     cold = tagged.where("hot_index IS NULL").select("dst").repartition("dst").groupBy("dst").agg(F.count("*").alias("n"))
     low, high = split_counts(F.col("n"))
-    hot = clustered(tagged.where("hot_index IS NOT NULL").select("block", "hot_index", "dst"), blocks).groupBy("block", "hot_index").agg(F.count("*").alias("n"), F.min("dst").alias("dst"))
+    hot = tagged.where("hot_index IS NOT NULL").groupBy("block", "hot_index").agg(F.count("*").alias("n"), F.min("dst").alias("dst"))
     return cold, hot.select("block", "hot_index", "dst", low, high)
 
 
@@ -55,18 +57,28 @@ def hybrid_offsets(cold: DataFrame, hot_partials: DataFrame, n: int) -> tuple[Da
 def hybrid_place(g: Graph, tagged: DataFrame, offsets: DataFrame, hot_ip: DataFrame, blocks: int, sort_lists: bool = True) -> DataFrame:
     """(pos, endpoint, payload...): step 3."""
     order = g.order_columns() if sort_lists else [F.monotonically_increasing_id()]
-    payload = [c for c in g.payload if c != "block"]
+    payload = [c for c in g.payload if c not in ("block", "hot_index")]
     cold = tagged.where("hot_index IS NULL").join(offsets.select(F.col("vertex").alias("dst"), "start"), "dst")
     cold = cold.select((F.col("start") + F.row_number().over(Window.partitionBy("dst").orderBy(*order)) - 1).alias("pos"), F.col("src").alias("endpoint"), *payload)
-    hot = clustered(tagged.where("hot_index IS NOT NULL"), blocks)
-    hot = hot.withColumn("_rank", F.row_number().over(Window.partitionBy("block", "hot_index").orderBy(*order)) - 1)
+    hot = tagged.where("hot_index IS NOT NULL").withColumn("_rank", F.row_number().over(Window.partitionBy("block", "hot_index").orderBy(*order)) - 1)
     hot = hot.join(hot_ip, ["block", "hot_index"]).select((F.col("base") + F.col("_rank")).alias("pos"), F.col("src").alias("endpoint"), *payload)
     return cold.unionByName(hot)
 
 
 def hybrid_transpose(g: Graph, hot: DataFrame, *, blocks: int = 64, sort_lists: bool = True, block_method: str = "edges") -> Csr:
     """hot is (dst, hot_index): none of them is the shared method, all of them the private one."""
-    b = edge_blocks(g, blocks, block_method)
+    return _transposed(g, checked_hot(hot), blocks, sort_lists, block_method)
+
+
+@any_payload
+def _transposed(g: Graph, hot: DataFrame, blocks: int, sort_lists: bool, block_method: str) -> Csr:
+    return hybrid_of_blocks(edge_blocks(g, blocks, block_method), hot, blocks=blocks, sort_lists=sort_lists)
+
+
+def hybrid_of_blocks(b: Graph, hot: DataFrame, *, blocks: int, sort_lists: bool = True) -> Csr:
+    """The same of edges that have their column block. At rest by it (sources.files.write_blocks), hot edges are never
+    exchanged; Spark reads such a table by its buckets if spark.sql.sources.bucketing.autoBucketedScan.enabled is off."""
+    g = b
     tagged = tag_hot(b.edges, hot)
     cold, partials = hybrid_degrees(tagged, blocks)
     offsets, ip = hybrid_offsets(cold, partials, g.n_dst)

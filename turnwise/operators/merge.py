@@ -1,8 +1,10 @@
 """Baseline that transposes blocks by themselves and merges the results in rounds until one is left.
 
-A run is a transposed block, sorted by (endpoint, source). Each round puts fan_in neighbouring runs together and sorts
-what are already sorted stretches; every run is cut into slices of endpoints, so that the last round is as parallel as
-the first. A round is written to the shared folder before the next one reads it. fan_in = blocks is one range shuffle.
+A run is a transposed block: each edge with its place in the list of its endpoint there. Each round puts fan_in
+neighbouring runs together; the lists of the later ones follow those of the earlier ones, so a merge moves places by the
+lengths of the lists before and compares nothing. The slots come from the last merge alone. A round is written to the
+shared folder before the next one reads it. A hot endpoint's list is merged by a join on (run, endpoint), whose skew
+Spark may split, since nothing is sorted there. fan_in = blocks is one round.
 """
 
 from __future__ import annotations
@@ -12,7 +14,7 @@ import math
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from turnwise.model import Csr, Graph
+from turnwise.model import Csr, Graph, any_payload
 from turnwise.operators.blocks import edge_blocks
 from turnwise.operators.prefix import prefix_offsets
 from turnwise.storage import dropped, stored
@@ -25,25 +27,24 @@ def merge_rounds(blocks: int, fan_in: int) -> int:
     return n
 
 
-def _sorted_runs(x: DataFrame, order: list[str], tasks: int) -> DataFrame:
-    return x.repartition(tasks, "run", "slice").sortWithinPartitions("run", "slice", "dst", *[F.expr(c) for c in order])
-
-
-def block_merge_transpose(g: Graph, blocks: int = 8, fan_in: int = 2, slices: int = 16) -> Csr:
+@any_payload
+def block_merge_transpose(g: Graph, blocks: int = 8, fan_in: int = 2) -> Csr:
     if fan_in < 2:
         raise ValueError("a merge needs two runs")
-    b = edge_blocks(g, blocks)
-    x = b.edges.withColumn("slice", F.floor(F.col("dst") * slices / max(1, g.n_dst)).cast("int")).withColumnRenamed("block", "run")
-    runs = _sorted_runs(x, g.order, blocks * slices if blocks * slices <= 2000 else 2000)
+    x = edge_blocks(g, blocks).edges.withColumnRenamed("block", "run")
+    runs = stored(x.withColumn("place", F.row_number().over(Window.partitionBy("run", "dst").orderBy(*g.order_columns())) - 1), "runs")
+    lists = stored(runs.groupBy("run", "dst").agg(F.count("*").alias("n")), "lists")
     left = blocks
-    was = None
     while left > 1:
         left = math.ceil(left / fan_in)
-        runs = stored(_sorted_runs(runs.withColumn("run", F.floor(F.col("run") / fan_in).cast("long")), g.order, slices * min(left, 125)), "runs")
-        if was is not None:
-            dropped(was)
-        was = runs
-    offsets = prefix_offsets(runs.groupBy("dst").agg(F.count("*").alias("n")), g.n_dst)
-    ranks = runs.withColumn("_rank", F.row_number().over(Window.partitionBy("dst").orderBy(*g.order_columns())) - 1)
-    placed = ranks.join(offsets.withColumnRenamed("vertex", "dst"), "dst").select((F.col("start") + F.col("_rank")).alias("pos"), F.col("src").alias("endpoint"), *g.payload)
+        into = F.floor(F.col("run") / fan_in).cast("long")
+        earlier = Window.partitionBy("into", "dst").orderBy("run").rowsBetween(Window.unboundedPreceding, -1)
+        moved = lists.withColumn("into", into).withColumn("by", F.sum("n").over(earlier)).where("by > 0").select("run", "dst", "by")
+        merged = runs.join(moved, ["run", "dst"], "left").select("src", "dst", *g.payload, into.alias("run"), (F.col("place") + F.coalesce("by", F.lit(0))).alias("place"))
+        was, runs = (runs, lists), stored(merged, "runs")
+        lists = stored(lists.groupBy(into.alias("run"), "dst").agg(F.sum("n").alias("n")), "lists")
+        for old in was:
+            dropped(old)
+    offsets = prefix_offsets(lists.select("dst", "n"), g.n_dst)
+    placed = runs.join(offsets.withColumnRenamed("vertex", "dst"), "dst").select((F.col("start") + F.col("place")).alias("pos"), F.col("src").alias("endpoint"), *g.payload)
     return Csr(offsets, placed, g.n_dst, g.n_src, "in" if g.orientation == "out" else "out")

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from turnwise.storage import stored
+
 RANGES = 4096
 
 
@@ -40,10 +42,17 @@ def prefix_offsets(counts: DataFrame, n: int, key: str = "dst", value: str = "n"
     return two_level_prefix(full, "vertex", "_n", n + 1).select("vertex", "start")
 
 
-def dense_ids(df: DataFrame, column: str, lead: int = 3) -> DataFrame:
-    """(column, id): ids from 0 in the order of distinct non-null strings. Ranges are the strings' first characters, so they come from the data."""
-    x = df.select(column).where(F.col(column).isNotNull()).distinct().withColumn("_lead", F.substring(column, 1, lead))
-    sizes = x.groupBy("_lead").agg(F.count("*").alias("_n"))
-    before = sizes.select("_lead", F.coalesce(F.sum("_n").over(Window.orderBy("_lead").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
-    inside = Window.partitionBy("_lead").orderBy(column)
-    return x.join(before, "_lead").select(column, (F.col("_before") + F.row_number().over(inside) - 1).cast("long").alias("id"))
+def dense_ids(df: DataFrame, column: str) -> DataFrame:
+    """(column, id): ids from 0 in the order of distinct non-null values.
+
+    Values are dealt to ranges by Spark's range partitioning, whatever they have in common at their beginning; the number
+    of the range is written with them, so that what follows depends on the table and no longer on the partitions.
+    """
+    spark = df.sparkSession
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    x = df.select(column).where(F.col(column).isNotNull()).distinct()
+    x = stored(x.repartitionByRange(parts, column).withColumn("_range", F.spark_partition_id().cast("long")), "values")
+    sizes = x.groupBy("_range").agg(F.count("*").alias("_n"))
+    before = sizes.select("_range", F.coalesce(F.sum("_n").over(Window.orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
+    inside = Window.partitionBy("_range").orderBy(column)
+    return x.join(F.broadcast(before), "_range").select(column, (F.col("_before") + F.row_number().over(inside) - 1).cast("long").alias("id"))

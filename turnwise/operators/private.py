@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from turnwise.model import Csr, Graph
+from turnwise.model import Csr, Graph, any_payload
 from turnwise.operators.blocks import edge_blocks
 from turnwise.operators.hybrid import clustered
 from turnwise.operators.prefix import prefix_offsets
@@ -20,6 +20,7 @@ def private_counts(g: Graph, workers: int) -> DataFrame:
     return clustered(g.edges.select("block", "dst"), workers).groupBy("block", "dst").agg(F.count("*").alias("n"))
 
 
+@any_payload
 def private_scan_transpose(g: Graph, workers: int = 16) -> Csr:
     b = edge_blocks(g, workers)
     counts = private_counts(b, workers)

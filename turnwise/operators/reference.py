@@ -5,12 +5,13 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from turnwise.model import Csr, Graph, graph_of
+from turnwise.model import Csr, Graph, graph_of, any_payload
 from turnwise.operators.prefix import prefix_offsets
 from turnwise.operators.shared import shared_place
 from turnwise.storage import stored
 
 
+@any_payload
 def sorted_reference(g: Graph) -> Csr:
     """Offsets by Spark's usual aggregate and slots by the canonical order."""
     offsets = prefix_offsets(g.edges.groupBy("dst").agg(F.count("*").alias("n")), g.n_dst)

@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from turnwise.model import Csr, Graph
+from turnwise.model import Csr, Graph, any_payload
 from turnwise.operators.prefix import prefix_offsets, range_width
 
 
@@ -52,8 +52,9 @@ def restore_offsets_by_shift(ip: DataFrame, n: int) -> DataFrame:
     return out.unionByName(last)
 
 
-def shared_transpose(g: Graph, *, sort_lists: bool = True, ip_mode: str = "shift", combine: str = "none") -> Csr:
-    """Count, scan, place. ip_mode "copy" keeps offsets and insertion points apart; "shift" restores one from the other."""
+@any_payload
+def shared_transpose(g: Graph, *, sort_lists: bool = True, ip_mode: str = "copy", combine: str = "none") -> Csr:
+    """Count, scan, place. ip_mode "copy" keeps offsets and insertion points apart; "shift" restores one from the other, which costs a second count here."""
     offsets = prefix_offsets(shared_degrees(g, combine), g.n_dst)
     placed = shared_place(g, offsets, sort_lists)
     if ip_mode == "shift":

@@ -74,7 +74,8 @@ def shared_rows(n_edges: int, sides: int = 2) -> int:
     return sides * n_edges
 
 
-def hybrid_rows(n_edges: int, covered: int, k: int, blocks: int) -> int:
-    """Rows that the hybrid sends: cold edges twice, private counters and insertion points, and each edge once to its block."""
+def hybrid_rows(n_edges: int, covered: int, k: int, blocks: int, at_rest: bool = False) -> int:
+    """Rows that the hybrid sends: cold edges twice, private counters and insertion points, and hot edges once, to their
+    block, unless the edges are at rest by block."""
     partials = min(covered, k * blocks)
-    return 2 * (n_edges - covered) + 2 * partials
+    return 2 * (n_edges - covered) + 2 * partials + (0 if at_rest else covered)

@@ -16,7 +16,7 @@ from turnwise.operators.hybrid import hybrid_degrees, hybrid_transpose, wrap_eve
 from turnwise.operators.merge import block_merge_transpose
 from turnwise.operators.private import private_counts, private_scan_transpose
 from turnwise.operators.shared import consumed_insertion_points, restore_offsets_by_shift, shared_degrees, shared_transpose
-from turnwise.plans import balance, calibrate, costmodel, measures
+from turnwise.plans import balance, calibrate, costmodel, measures, runs
 from turnwise.sources import workloads
 from turnwise.streaming import stream
 
@@ -220,7 +220,9 @@ for _g in ("cubic_skew", "order_part", "word_successor"):
     _cnt = f"{ctes(_g)}, {RANKED}, s AS (SELECT (SELECT n_dst FROM n) AS v, (SELECT count(*) FROM g) AS e, (SELECT CAST(coalesce(sum(n), 0) AS BIGINT) FROM ranked WHERE rk < {K}) AS c), h AS (SELECT *, least(c, {K * BLOCKS}) AS hp, least(e, {BLOCKS} * v) AS pp FROM s)"
     _row = lambda *x: "SELECT " + ", ".join(f"CAST({v} AS BIGINT) AS {n}" if n != "method" else f"'{v}' AS method" for v, n in zip(x, ("method", "edge_reads", "probes", "shared_updates", "private_updates", "slot_writes", "counters_summed", "count_rows", "place_rows"), strict=True)) + " FROM h"
     add(f"access_counts_{_g}", _access, f"{_cnt} {_row('shared', '2*e', 0, '2*e', 0, 'e', 'v', 'e', 'e')} UNION ALL {_row('private', '2*e', 0, 0, '2*e', 'e', f'{BLOCKS}*v', 'pp', 'pp')} UNION ALL {_row('merge', '4*e', 0, 0, 0, 0, 0, 0, '3*e')} UNION ALL {_row('hybrid', '2*e', '2*e+v', '2*(e-c)', '2*c', 'e', f'v-{K}+{K * BLOCKS}', 'e-c+hp', 'e-c+hp')}")
-    add(f"decision_rows_{_g}", lambda s, d, g=_g: decision_row(s, g, decide(x := build(g)(s, d), _hot(x), blocks=BLOCKS)))
+    _dec = f"{_cnt}, t AS (SELECT e, c, (SELECT count(*) FROM ranked WHERE rk < {K}) AS k, CAST(2 * e AS DOUBLE) AS a, CAST(2 * (e - c) + 2 * hp + c AS DOUBLE) AS b, (SELECT max(n) FROM deg) AS ls, (SELECT coalesce(max(n), 0) FROM ranked WHERE rk >= {K}) AS lc FROM h), u AS (SELECT *, greatest(lc, (ls + {BLOCKS - 1}) // {BLOCKS}) AS lh FROM t)"
+    add(f"decision_rows_{_g}", lambda s, d, g=_g: decision_row(s, g, decide(x := build(g)(s, d), _hot(x), blocks=BLOCKS)), f"{_dec} SELECT '{_g}' AS graph, CASE WHEN k > 0 AND (b <= 0.8 * a OR (b < a AND 2 * lh <= ls)) THEN 'hybrid' ELSE 'shared' END AS method, k, c / e AS coverage, CAST(0 AS DOUBLE) AS h_est, a AS cost_shared, b AS cost_hybrid, ls AS largest_shared, CAST(lh AS BIGINT) AS largest_hybrid FROM u")
+    add(f"shuffle_rows_{_g}", lambda s, d, g=_g: runs.edge_rows(x := build(g)(s, d), _hot(x), BLOCKS), f"{_cnt} SELECT 'shared' AS method, e AS count_rows, e AS place_rows FROM h UNION ALL SELECT 'hybrid', e - c, e FROM h")
     add(f"decision_model_{_g}", lambda s, d, g=_g: decision_row(s, g, decide(x := build(g)(s, d), _hot(x), blocks=BLOCKS, cost="model")))
 
 
@@ -311,6 +313,19 @@ def stream_transposed(s: SparkSession, d: str) -> DataFrame:
 add("stream_transposed", stream_transposed, "SELECT row_number() OVER (ORDER BY user_id, event_id) - 1 AS pos, event_id AS endpoint FROM events")
 
 
+# measured runs: seconds differ from run to run, so there is no SQL for them
+_whole = lambda s, d, g, **kw: runs.run_table(s, g, build(g)(s, d), k=K, blocks=BLOCKS, repeats=1, **kw)
+add("runs_methods_cubic_skew", lambda s, d: _whole(s, d, "cubic_skew", forms=("row",)))
+add("runs_representations_customer_part", lambda s, d: measures.speedup_table(_whole(s, d, "customer_part", only=("shared", "hybrid"))))
+add("runs_summary_order_part", lambda s, d: measures.speedup_summary(measures.speedup_table(_whole(s, d, "order_part", forms=("row", "column")))))
+add("runs_losses_order_part", lambda s, d: measures.loss_summary(measures.speedup_table(_whole(s, d, "order_part", forms=("row",)))))
+add("runs_edges_per_second_cubic_skew", lambda s, d: measures.edges_per_second(_whole(s, d, "cubic_skew", forms=("row",))))
+add("runs_cpu_reduction_cubic_skew", lambda s, d: runs.cpu_reduction(_whole(s, d, "cubic_skew", forms=("row",), only=("shared", "hybrid"))))
+add("step_shares_cubic_skew", lambda s, d: runs.step_shares(_whole(s, d, "cubic_skew", forms=("row",), steps=True)))
+add("sort_times_cubic_skew", lambda s, d: runs.sort_times(_whole(s, d, "cubic_skew", forms=("row",), steps=True)))
+add("decision_time_cubic_skew", lambda s, d: decision_row(s, "cubic_skew", decide(x := build("cubic_skew")(s, d), _hot(x), blocks=BLOCKS, cost="time", probe_fraction=0.1)))
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The adaptive method on the synthetic skewed graph: its endpoint array."""
     return adaptive_transpose(build("cubic_skew")(spark, sf_dir), k=K, blocks=BLOCKS)[0].endpoints

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from turnwise.model import Csr, Graph, graph_of
+from turnwise.operators.blocks import edge_blocks
 
 EDGE_SCHEMA = "src BIGINT, dst BIGINT"
 
@@ -57,5 +58,10 @@ def write_bucketed(g: Graph, table: str, buckets: int, by: str = "dst") -> None:
     g.edges.write.mode("overwrite").bucketBy(buckets, by).sortBy(by).saveAsTable(table)
 
 
+def write_blocks(g: Graph, table: str, blocks: int, method: str = "edges") -> None:
+    """Edges with their block, at rest by it: the hybrid of hybrid_of_blocks() then never exchanges a hot edge."""
+    edge_blocks(g, blocks, method).edges.write.mode("overwrite").bucketBy(min(blocks, 20_000), "block").saveAsTable(table)
+
+
 def noop(df: DataFrame) -> None:
     df.write.format("noop").mode("overwrite").save()
