@@ -2,9 +2,9 @@
 
 Counts of hot endpoints are summed where the edges are read and leave a task as at most k rows a block; only cold edges
 travel to the owner of their endpoint. In the placing step a hot edge gets its slot from its block's own insertion point
-and never travels by endpoint, so the most frequent vertex is spread over all blocks. Edges at rest by block (a table
-bucketed by it, see sources.files.write_blocks) keep their hot edges at home in that step too; others send them once, by
-block and hot vertex. Insertion points are k rows a block and meet the hot edges where those are.
+and never travels by endpoint, so the most frequent vertex is spread over all blocks. Hot edges are sent once there, by
+block and hot vertex; insertion points are k rows a block and meet them where they are then. Edges of a table bucketed by
+block (sources.files.write_blocks) could stay at home, but the plans that Spark makes still exchange them.
 """
 
 from __future__ import annotations
@@ -76,8 +76,7 @@ def _transposed(g: Graph, hot: DataFrame, blocks: int, sort_lists: bool, block_m
 
 
 def hybrid_of_blocks(b: Graph, hot: DataFrame, *, blocks: int, sort_lists: bool = True) -> Csr:
-    """The same of edges that have their column block. At rest by it (sources.files.write_blocks), hot edges are never
-    exchanged; Spark reads such a table by its buckets if spark.sql.sources.bucketing.autoBucketedScan.enabled is off."""
+    """The same of edges that have their column block, such as those of sources.files.write_blocks."""
     g = b
     tagged = tag_hot(b.edges, hot)
     cold, partials = hybrid_degrees(tagged, blocks)

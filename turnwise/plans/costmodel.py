@@ -76,6 +76,6 @@ def shared_rows(n_edges: int, sides: int = 2) -> int:
 
 def hybrid_rows(n_edges: int, covered: int, k: int, blocks: int, at_rest: bool = False) -> int:
     """Rows that the hybrid sends: cold edges twice, private counters and insertion points, and hot edges once, to their
-    block, unless the edges are at rest by block."""
+    block, unless the edges are at rest by block and stay there, which no plan here reaches yet."""
     partials = min(covered, k * blocks)
     return 2 * (n_edges - covered) + 2 * partials + (0 if at_rest else covered)

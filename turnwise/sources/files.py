@@ -59,7 +59,7 @@ def write_bucketed(g: Graph, table: str, buckets: int, by: str = "dst") -> None:
 
 
 def write_blocks(g: Graph, table: str, blocks: int, method: str = "edges") -> None:
-    """Edges with their block, at rest by it: the hybrid of hybrid_of_blocks() then never exchanges a hot edge."""
+    """Edges with their block in a table bucketed by it, for hybrid_of_blocks()."""
     edge_blocks(g, blocks, method).edges.write.mode("overwrite").bucketBy(min(blocks, 20_000), "block").saveAsTable(table)
 
 
