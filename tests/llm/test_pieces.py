@@ -82,4 +82,6 @@ def test_digests_come_from_the_operator_that_gives_spans(spark, monkeypatch, cod
         want, size = library.encode(t or "", add_eos=True), len((t or "").encode())
         assert got[i].ids == spans[i].ids == want and got[i].n_tokens == len(want)
         assert got[i].ids_sha256 == hashlib.sha256(" ".join(map(str, want)).encode()).hexdigest() and got[i].decoded_sha256 == hashlib.sha256(library.decode(want).encode()).hexdigest()
+        own = b"".join(x.to_bytes(8, "little") for x in [*spans[i].starts[:-1], *spans[i].ends[:-1]])
+        assert got[i].spans_sha256 == hashlib.sha256(own).hexdigest()
         assert list(zip(spans[i].starts, spans[i].ends)) == [*((a, b) for _, a, b in codec.encode_with_spans(t or "")), (size, size)]

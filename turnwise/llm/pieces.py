@@ -371,12 +371,15 @@ def _mended(run: bytes) -> bytes:
     return b"".join(out)
 
 
-def encode_documents(docs: DataFrame, model_path: str | None = None, id_col: str = "doc_id", text_col: str = "text", spans: bool = True) -> DataFrame:
+def encode_documents(docs: DataFrame, model_path: str | None = None, id_col: str = "doc_id", text_col: str = "text", spans: bool = True, digests: bool = False, with_ids: bool = True) -> DataFrame:
     """(id, ids, starts, ends): the ids of each text with an end id, and the source byte span of each (empty for the end).
+    With digests, the columns of encoding_digests() in place of the arrays, made where they are.
 
     Null texts count as empty and give the end id alone; an empty table gives no rows; repeated rows are encoded each;
     columns other than the two named are not read. A text of any length is encoded whole.
     """
+    if digests:
+        return _digested(docs, model_path, id_col, text_col, with_ids)
     path = model_path or default_model()
     kind = docs.schema[id_col].dataType.simpleString()
 
@@ -407,6 +410,10 @@ def encoding_digests(docs: DataFrame, model_path: str | None = None, id_col: str
     All come from the ids and spans that encode_documents gives of the text, in the task that encodes it, so that the
     spans need not be sent on: spans_sha256 is over the little-endian 64-bit starts, then the ends, of all ids but the end.
     """
+    return encode_documents(docs, model_path, id_col, text_col, digests=True, with_ids=with_ids)
+
+
+def _digested(docs: DataFrame, model_path: str | None, id_col: str, text_col: str, with_ids: bool) -> DataFrame:
     path = model_path or default_model()
     kind = docs.schema[id_col].dataType.simpleString()
     names, kinds = ["n_tokens", "ids_sha256", "decoded_sha256", "spans_sha256", "ids"][: 4 + with_ids], (pa.int64(), pa.string(), pa.string(), pa.string(), pa.list_(pa.int32()))
