@@ -190,3 +190,15 @@ def test_sketch_finds_the_most_frequent(spark):
 def test_hand_graph_at_many_blocks(spark):
     g = graph(spark, HAND, 4)
     assert arrays(hybrid_transpose(g, hotset.exact_hot(g, 1), blocks=50)) == ([0, 1, 3, 5, 6], [3, 0, 2, 0, 3, 1])
+
+
+def test_streams_end_in_files(spark):
+    """Neither an appended nor a complete result is held in the driver's memory."""
+    from turnwise.streaming import stream
+
+    d = "/root/testdata/sf0.001"
+    events = spark.read.parquet(f"{d}/events.parquet")
+    once = stream.finish(stream.deduplicated(stream.event_stream(spark, d)).select("event_id"), "append")
+    assert once.inputFiles() and sorted(r[0] for r in once.collect()) == sorted(r[0] for r in events.select("event_id").distinct().collect())
+    counts = stream.finish(stream.stream_degrees(stream.event_stream(spark, d)))
+    assert counts.inputFiles() and {tuple(r) for r in counts.collect()} == {tuple(r) for r in events.groupBy("event_type").count().collect()}
