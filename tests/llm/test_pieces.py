@@ -48,6 +48,22 @@ def test_spans_cover_the_source_in_order(codec):
         assert not got or (got[0][1] == 0 and got[-1][2] == size)
 
 
+def test_what_is_remembered_has_a_bound_and_changes_nothing(monkeypatch, library):
+    """Stretches that are asked for again stay, the others are forgotten; ids and digests are those of a fresh codec. Tasks of a worker share it."""
+    monkeypatch.setattr(pieces, "MOST_KEPT", 40)
+    own, sizes = pieces.Codec(pieces.Model.load(pieces.default_model())), []
+    for x in texts():
+        ids, ids_sha, text_sha, _ = own.digested(x)
+        want = library.encode(x)
+        assert ids.tolist() == want == own.aligned(x)[0].tolist(), repr(x)
+        assert ids_sha == hashlib.sha256(" ".join(map(str, [*want, own.end])).encode()).hexdigest()
+        assert text_sha == hashlib.sha256(library.decode(want).encode()).hexdigest()
+        own.digested("often")
+        sizes.append(len(own.known) + len(own.older))
+    assert max(sizes) < 40 + 2 * 90 and "▁often" in own.known
+    assert pieces._worker_codec(pieces.default_model()) is pieces._worker_codec(pieces.default_model())
+
+
 @pytest.mark.parametrize("rule", ["nfkc", "nmt_nfkc", "nmt_nfkc_cf", "identity"])
 def test_normaliser_reads_the_compiled_map_as_the_library_does(rule):
     from sentencepiece import sentencepiece_model_pb2 as proto

@@ -13,7 +13,9 @@ import hashlib
 import heapq
 import re
 import struct
+from array import array
 from dataclasses import dataclass
+from functools import lru_cache
 from itertools import pairwise
 
 import numpy as np
@@ -31,7 +33,7 @@ BAD = "�".encode()
 MARKS = ".,;:!?|$%&*#()\"'-/"
 
 #: Stretches up to so many characters are remembered, and so many of them in a worker.
-LONGEST_KEPT, MOST_KEPT = 48, 400_000
+LONGEST_KEPT, MOST_KEPT = 48, 600_000
 NO_PIECE = float("-inf")
 
 
@@ -179,6 +181,8 @@ class Codec:
         self.fine = re.compile(f"{SPACE}*[{first}]*[^{SPACE}{alone}{first}]+|{SPACE}*[{first}]+|{SPACE}+{rest}") if marks else self.coarse
         self.kept: dict[str, tuple] = {}
         self.known: dict[str, tuple] = {}
+        self.older: dict[str, tuple] = {}
+        self.size_of = [len(p.encode()) for p, _, _ in model.pieces]
         self._library = None
 
     def stretches(self, norm: str) -> list[str]:
@@ -232,12 +236,13 @@ class Codec:
         """Ids, and how many normalised bytes each stands for (0 for all but the last byte id of a character)."""
         ids, sizes = [], []
         for p in self.merge(stretch):
-            raw = p.encode("utf-8", "surrogatepass")
             i = self.id_of.get(p)
             if i is not None:
                 ids.append(i)
-                sizes.append(len(raw))
-            elif self.m.byte_fallback:
+                sizes.append(self.size_of[i])
+                continue
+            raw = p.encode("utf-8", "surrogatepass")
+            if self.m.byte_fallback:
                 ids += [self.byte_id[b] for b in raw]
                 sizes += [0] * (len(raw) - 1) + [len(raw)]
             else:
@@ -286,10 +291,12 @@ class Codec:
 
     def decode(self, ids: list[int]) -> str:
         """The text of ids; one leading space goes if the model writes a dummy prefix."""
-        raw = self.plain_bytes(ids)
-        if self.m.dummy_prefix and ids and raw[:1] == b" " and not self.is_byte[next((i for i in ids if self.bytes_of[i]), self.unknown)]:
-            raw = raw[1:]
-        return raw.decode("utf-8", "surrogatepass")
+        return self._unprefixed(self.plain_bytes(ids), ids).decode("utf-8", "surrogatepass")
+
+    def _unprefixed(self, raw: bytes, ids: list[int] | np.ndarray) -> bytes:
+        if self.m.dummy_prefix and raw[:1] == b" " and not self.is_byte[next((i for i in ids if self.bytes_of[i]), self.unknown)]:
+            return raw[1:]
+        return raw
 
     def encode(self, text: str, add_end: bool = False) -> list[int]:
         norm = self._normalised(text)
@@ -306,23 +313,51 @@ class Codec:
         return list(zip(*(x.tolist() for x in self.aligned(text)), strict=True))
 
     def aligned(self, text: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Ids, starts and ends of encode_with_spans; the ids of short stretches are remembered."""
+        """Ids, starts and ends of encode_with_spans."""
+        ids, sizes, source, _, _ = self._found(text)
+        return self._placed(ids, sizes, source)
+
+    def digested(self, text: str) -> tuple[np.ndarray, str, str, str]:
+        """The ids of aligned(), and SHA-256 of the ids with the end id in decimal, of the text they decode to and of their starts, then ends."""
+        ids, sizes, source, decimal, raw = self._found(text)
+        ids, starts, ends = self._placed(ids, sizes, source)
+        spans = hashlib.sha256(starts.astype("<i8", copy=False).tobytes() + ends.astype("<i8", copy=False).tobytes())
+        digest = hashlib.sha256(" ".join((*decimal, str(self.end))).encode())
+        return ids, digest.hexdigest(), hashlib.sha256(self._unprefixed(b"".join(raw), ids)).hexdigest(), spans.hexdigest()
+
+    def _found(self, text: str) -> tuple:
+        """By stretches of the text: bytes of the ids, bytes of their sizes, (the source of each normalised byte,) ids in decimal, what they stand for.
+
+        A character never lies in two stretches, so byte ids of different stretches don't complete each other.
+        """
         norm, source = self._alignment(text)
-        ids, sizes, known = [], [], self.known
-        for x in self.stretches(norm):
-            got = known.get(x)
-            if got is None:
-                got = self.stretch_ids(x)
-                if len(x) <= LONGEST_KEPT:
-                    if len(known) > MOST_KEPT:
-                        known.clear()
-                    known[x] = got
-            ids += got[0]
-            sizes += got[1]
-        at = np.zeros(len(ids) + 1, np.int64)
-        np.cumsum(np.array(sizes, np.int64), out=at[1:])
+        stretches, known = self.stretches(norm), self.known
+        got = list(map(known.get, stretches))
+        if None in got:
+            if len(known) > MOST_KEPT // 2:  # those not asked for since the last time are forgotten
+                self.older, self.known = known, {}
+            for k, x in enumerate(got):
+                if x is None:
+                    got[k] = self._remembered(stretches[k])
+        ids, sizes, decimal, raw = zip(*got, strict=True) if got else ((), (), (), ())
+        return ids, sizes, source, decimal, raw
+
+    def _remembered(self, stretch: str) -> tuple[bytes, bytes, str, bytes]:
+        got = self.known.get(stretch) or self.older.get(stretch)
+        if got is None:
+            ids, sizes = self.stretch_ids(stretch)
+            got = array("i", ids).tobytes(), array("i", sizes).tobytes(), " ".join(map(str, ids)), self.plain_bytes(ids)
+        if len(stretch) <= LONGEST_KEPT:
+            self.known[stretch] = got
+        return got
+
+    @staticmethod
+    def _placed(ids: tuple, sizes: tuple, source: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        sizes = np.frombuffer(b"".join(sizes), np.int32)
+        at = np.zeros(len(sizes) + 1, np.int64)
+        np.cumsum(sizes, out=at[1:])
         edges = source[at]
-        return np.array(ids, np.int32), edges[:-1], edges[1:]
+        return np.frombuffer(b"".join(ids), np.int32), edges[:-1], edges[1:]
 
     def _alignment(self, text: str) -> tuple[str, np.ndarray]:
         """The normalised text, and the source byte of each of its bytes and of its end; without a map by the lengths alone."""
@@ -350,6 +385,12 @@ class Codec:
         return out
 
 
+@lru_cache(1)
+def _worker_codec(path: str) -> Codec:
+    """One codec in each Python worker, so that what a task has remembered serves the next."""
+    return Codec(Model.load(path))
+
+
 def _mended(run: bytes) -> bytes:
     """run if it is UTF-8; else each byte that starts no whole character becomes the replacement character."""
     try:
@@ -384,7 +425,7 @@ def encode_documents(docs: DataFrame, model_path: str | None = None, id_col: str
     kind = docs.schema[id_col].dataType.simpleString()
 
     def make():
-        codec = Codec(Model.load(path))
+        codec = _worker_codec(path)
 
         def run(batch: pa.RecordBatch) -> pa.RecordBatch:
             ids, starts, ends = [], [], []
@@ -419,17 +460,13 @@ def _digested(docs: DataFrame, model_path: str | None, id_col: str, text_col: st
     names, kinds = ["n_tokens", "ids_sha256", "decoded_sha256", "spans_sha256", "ids"][: 4 + with_ids], (pa.int64(), pa.string(), pa.string(), pa.string(), pa.list_(pa.int32()))
 
     def make():
-        codec = Codec(Model.load(path))
+        codec = _worker_codec(path)
 
         def run(batch: pa.RecordBatch) -> pa.RecordBatch:
             got = []
             for text in batch.column(1).to_pylist():
-                ids, starts, ends = codec.aligned(text)
-                own = ids.tolist()
-                raw = codec.decode(own).encode("utf-8", "surrogatepass")
-                spans = hashlib.sha256(starts.astype("<i8").tobytes() + ends.astype("<i8").tobytes())
-                digest = hashlib.sha256(" ".join(map(str, [*own, codec.end])).encode())
-                got.append((len(own) + 1, digest.hexdigest(), hashlib.sha256(raw).hexdigest(), spans.hexdigest(), np.append(ids, np.int32(codec.end)) if with_ids else None))
+                ids, *digests = codec.digested(text)
+                got.append((len(ids) + 1, *digests, np.append(ids, np.int32(codec.end)) if with_ids else None))
             return pa.RecordBatch.from_arrays([batch.column(0), *(pa.array([x[k] for x in got], kinds[k]) for k in range(len(names)))], ["id", *names])
 
         return run
