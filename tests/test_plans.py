@@ -192,6 +192,16 @@ def test_hand_graph_at_many_blocks(spark):
     assert arrays(hybrid_transpose(g, hotset.exact_hot(g, 1), blocks=50)) == ([0, 1, 3, 5, 6], [3, 0, 2, 0, 3, 1])
 
 
+def test_only_the_first_form_is_run_once_more(spark, monkeypatch):
+    """The run that doesn't count warms the code of all forms, so it is not repeated for each."""
+    _, g = skewed(spark, 100)
+    calls = []
+    monkeypatch.setattr(runs, "timed", lambda s, job: calls.append(job) or (float(len(calls)), 1.0))
+    table = runs.run_table(spark, "g", g, k=2, blocks=2, repeats=1, forms=("row", "column")).collect()
+    assert len(table) == 8 and len(calls) == 12
+    assert sorted(r.seconds for r in table) == [float(x) for x in range(5, 13)]
+
+
 def test_streams_end_in_files(spark):
     """Neither an appended nor a complete result is held in the driver's memory."""
     from turnwise.streaming import stream
