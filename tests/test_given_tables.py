@@ -37,6 +37,22 @@ def test_rates_are_of_given_keys(spark, monkeypatch):
     assert seen and all(any("orders" in f for f in files) for files in seen)
 
 
+def test_rates_are_of_whole_domains(spark, monkeypatch):
+    """Each order is a key of its own in a domain of a million, and every key is in the table that reads look into."""
+    from pyspark.sql import functions as F
+
+    from turnwise.plans import calibrate
+
+    seen = []
+    monkeypatch.setattr(calibrate, "_seconds", lambda job: job() or 1.0)
+    monkeypatch.setattr(calibrate, "noop", lambda df: seen.append(df))
+    queries.QUERIES["calibrate"](spark, "/root/testdata/sf0.001")
+    n = spark.read.parquet("/root/testdata/sf0.001/orders.parquet").count()
+    reads = [x.agg(F.count("*"), F.count("v"), F.countDistinct("key"), F.max("key")).first() for x in seen if "v" in x.columns]
+    assert [x[:2] for x in reads] == [(n, n)] * 2
+    assert reads[0][3] < 1_000 and reads[1][2] > 0.99 * n and reads[1][3] > 900_000
+
+
 def test_pairs_are_counted_before_they_are_edges(spark):
     """Equal pairs are one row before anything is exchanged, and no window over the words of a text needs them sorted."""
     from turnwise.sources import workloads
