@@ -159,3 +159,53 @@ def test_words_add_to_items_without_a_look_at_the_space():
     buckets = leaks.Buckets()
     assert buckets.of(odd).tolist() == [zlib.crc32(w.encode("utf-8", "surrogatepass")) % leaks.FEATURES for w in odd]
     assert buckets.of([]).tolist() == [] and not vars(buckets) and not hasattr(buckets, "keys")
+
+
+def test_no_paraphrase_among_heavier_words_is_left_out():
+    """By brute force: a window with half the weight that a copy puts into one is checked, whatever its cosine."""
+    r = random.Random(11)
+    vocab = [f"w{i}" for i in range(1500)]
+    common = ["the", "of", "and", "to", "in"]
+    say = lambda k: [r.choice(common) if r.random() < 0.4 else r.choice(vocab) for _ in range(k)]
+    texts = [say(n) for n in (1, 3, 6, 8, 12, 20, 35, 58, 100, 140, 300) for _ in range(4)] + [[]]
+    idf = np.ones(leaks.FEATURES, np.float32)
+    idf[leaks.Buckets().of(common)] = 0.05
+    weight = {w: float(idf[leaks.Buckets().of([w])[0]]) ** 2 for w in vocab + common}
+    used = np.unique(leaks.Buckets().of([w for x in texts for w in x]))
+    items = leaks.Items(list(range(len(texts))), [" ".join(x) for x in texts], used, np.eye(len(used), dtype=np.float32), idf)
+
+    def best(item, answers, words):
+        out, margin = 0.0, 32 + len(item) // 4 if len(item) <= 128 else len(item)
+        own = np.array([weight[x] * item.count(x) for x in item])
+        for at in range(0, max(1, len(words) - 32), 32):
+            there = set(words[at : at + 64])
+            if sum(y for x, y in zip(item, own, strict=True) if x in there) < 1.001 * leaks.LIKELY * leaks.sure_weight(own):
+                continue
+            near = words[max(0, at - margin) : at + 64 + margin]
+            share = lcs(item, near) / len(item)
+            if share >= leaks.SURE or share >= leaks.LIKELY and len(answers & set(near)) >= leaks.ANSWER_SHARE * len(answers):
+                out = max(out, share)
+        return out
+
+    found = 0
+    for k in range(120):
+        part, changed = [], r.choice([0, 0.2, 0.3, 0.4, 0.5])
+        for x in texts[k % 44]:
+            part += [x] if r.random() >= changed else say(r.randrange(3))
+        words = say(r.randrange(200))
+        at = r.randrange(len(words) + 1)
+        words[at:at] = part
+        i = k % 44
+        if words and (want := best(items.words[i], items.answers[i], words)):
+            assert items.matches(words, leaks.Buckets().of(words)).get(i, (0, 0))[0] >= want, k
+            found += 1
+    assert found > 80
+
+
+def test_cosine_is_that_of_the_window():
+    """Repeated words count in the norm as often as they occur together."""
+    item, words = ["a", "b", "c", "d"], ["a", "b", "c", "d", "a", "a", "x", "x", "x"]
+    idf = np.ones(leaks.FEATURES, np.float32)
+    used = np.unique(leaks.Buckets().of(item))
+    got = leaks.Items([1], [" ".join(item)], used, np.eye(len(used), dtype=np.float32), idf).matches(words, leaks.Buckets().of(words))
+    assert got[0][0] == 1.0 and abs(got[0][1] - 6 / (2 * np.sqrt(9 + 1 + 1 + 1 + 9))) < 1e-6
